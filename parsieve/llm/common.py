@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -53,6 +54,8 @@ class Cuts:
         df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._cut_path = path
+        gc.collect()  # shuffle files go when the driver's last reference to them does
+        self.spark._jvm.System.gc()
         return out
 
     def drop(self, *frames: DataFrame | None) -> None:
