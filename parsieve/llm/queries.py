@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from parsieve.llm import jpeg, langid, secrets, tokens
+from parsieve.llm import fingerprints, jpeg, langid, lines, minhash, secrets, tokens
 from parsieve.llm.common import table
 
 
@@ -17,16 +17,28 @@ def vocabulary(name: str = "piece_bpe_32k.model") -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.near_duplicates(spark, table(spark, sf_dir, "documents"))
+
+
 def op2_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     found = langid.identify(docs, langid.train(docs))
     return found.select("doc_id", langid.held_out().alias("held_out"), "lang_pred", "score", "bits_per_byte")
 
 
+def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprints.document_fingerprints(spark, table(spark, sf_dir, "documents"))
+
+
 def op4_jpeg(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jpeg.text_as_jpeg(table(spark, sf_dir, "documents"))
 
 
+def op6_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lines.deduped(spark, table(spark, sf_dir, "documents"))
+
+
 def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secret_spans(table(spark, sf_dir, "documents"))
 
@@ -36,8 +48,11 @@ def op10_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_minhash": op1_minhash,
     "op2_language": op2_language,
+    "op3_simhash": op3_simhash,
     "op4_jpeg": op4_jpeg,
+    "op6_lines": op6_lines,
     "op9_secrets": op9_secrets,
     "op10_tokens": op10_tokens,
 }
