@@ -59,6 +59,25 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     )
 
 
+def _hopeful(rest: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Those rows of rest(bucket, id, n, ...) that may have a link in their bucket, with
+    `most`, the largest size of a set that they can be linked with.
+
+    An element that no other remaining set has is in no intersection. With u of them, at
+    most n - u elements are shared, so a partner's size is at most
+    (n - u) * (100 + percent) / percent - n: a row for which all of its bucket is larger
+    than that is done. This holds for any data and needs no pair.
+    """
+    ids = rest.select("id").distinct()
+    elems = sets.join(ids, "id", "left_semi").select("id", F.explode("elems").alias("e"))
+    own = elems.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("id")).where("c = 1")
+    own = own.groupBy("id").agg(F.count(F.lit(1)).alias("own"))
+    most = F.floor((F.col("n") - F.coalesce("own", F.lit(0))) * (100 + percent) / F.lit(percent)) - F.col("n")
+    bounded = rest.join(own, "id", "left").withColumn("most", most).drop("own")
+    least = rest.groupBy("bucket").agg(F.min("n").alias("least"))
+    return bounded.join(least, "bucket").where("least <= most").drop("least")
+
+
 def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame], percent: int) -> DataFrame:
     """(id, component) of every item with a link, from keys(id, bucket).
 
@@ -73,7 +92,7 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     hubs = cuts.cut(members.groupBy("bucket").agg(F.max_by("id", F.struct("degree", "id")).alias("hub")), "hubs")
     sets = cuts.cut(sets_of(members.select("id").distinct()), "sets")
     at_hub = cuts.cut(members.join(hubs, "bucket").select("bucket", "id", "hub"), "at-hub")
-    cuts.drop(multi, members, hubs)
+    cuts.drop(multi, members, hubs, keys)
     spokes = at_hub.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
     star = cuts.cut(_verified(spokes, sets, percent), "star")
     first = cuts.cut(components(cuts, star.where("linked").select("a", "b")), "first")
@@ -84,11 +103,15 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     mixed = placed.where("id <> hub").groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
     mixed = cuts.cut(mixed.select("bucket"), "mixed")
     rest = cuts.cut(placed.where("id <> hub").join(mixed, "bucket").join(sets.select("id", "n"), "id"), "rest")
-    x = rest.select("bucket", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("far").alias("fa"), F.col("n").alias("na"))
-    y = rest.select("bucket", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("far").alias("fb"), F.col("n").alias("nb"))
+    cuts.drop(at_hub, placed, mixed)
+    rest = cuts.cut(_hopeful(rest, sets, percent), "hopeful")
+    x = rest.select("bucket", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("far").alias("fa"), F.col("n").alias("na"), F.col("most").alias("ma"))
+    y = rest.select("bucket", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("far").alias("fb"), F.col("n").alias("nb"), F.col("most").alias("mb"))
     near = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (F.abs(F.col("fa") - F.col("fb")) <= 1 - percent / 100 + 1e-9)
+    near &= (F.col("nb") <= F.col("ma")) & (F.col("na") <= F.col("mb"))
     across = x.join(y, "bucket").where((F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & near).select("a", "b").distinct()
     more = cuts.cut(_verified(across, sets, percent).where("linked").select("a", "b"), "more")
+    cuts.drop(rest, sets, star)
     if more.isEmpty():
         return first
     return components(cuts, first.select(F.col("id").alias("a"), F.col("component").alias("b")).union(more))

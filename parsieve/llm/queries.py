@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from parsieve.llm import fingerprints, jpeg, langid, lines, minhash, secrets, tokens
+from parsieve.llm import fingerprints, jpeg, langid, lines, minhash, mixing, packing, pii, secrets, tokens
 from parsieve.llm.common import table
 
 
@@ -35,10 +35,22 @@ def op4_jpeg(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jpeg.text_as_jpeg(table(spark, sf_dir, "documents"))
 
 
+def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mixture(table(spark, sf_dir, "documents"))
+
+
 def op6_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.deduped(spark, table(spark, sf_dir, "documents"))
 
 
+def op7_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pseudonymised(spark, table(spark, sf_dir, "documents"))
+
+
+def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.packed(table(spark, sf_dir, "documents"))
+
+
 def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secret_spans(table(spark, sf_dir, "documents"))
 
@@ -52,7 +64,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_language": op2_language,
     "op3_simhash": op3_simhash,
     "op4_jpeg": op4_jpeg,
+    "op5_mixing": op5_mixing,
     "op6_lines": op6_lines,
+    "op7_pii": op7_pii,
+    "op8_packing": op8_packing,
     "op9_secrets": op9_secrets,
     "op10_tokens": op10_tokens,
 }
