@@ -124,7 +124,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """Pipeline stage: texts without repeated lines. A document that keeps no line with text
     goes, one without text stays as it is; n_chars follows the text."""
     joined = _rebuilt(docs.drop("dropped"), repeated_lines(spark, docs)).withColumn("text", _kept_text(F.col("text"), F.col("dropped")))
-    joined = joined.where(F.col("dropped").isNull() | (F.trim("text") != ""))
+    joined = joined.where(F.col("dropped").isNull() | F.col("text").rlike(r"\S"))
     if "n_chars" in docs.columns:
         joined = joined.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return joined.select(docs.columns)

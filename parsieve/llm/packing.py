@@ -64,7 +64,7 @@ def pack(sizes: list[int], lengths: tuple[int, ...] = LENGTHS, cost: Callable[[i
 
 
 def word_count(text: Column) -> Column:
-    return F.when(F.length(F.trim(text)) > 0, F.size(F.split(F.trim(text), r"\s+"))).otherwise(0).cast("long")
+    return F.coalesce(F.regexp_count(text, F.lit(r"\S+")), F.lit(0)).cast("long")
 
 
 def packed(docs: DataFrame, size: Column | None = None, lengths: tuple[int, ...] = LENGTHS) -> DataFrame:
