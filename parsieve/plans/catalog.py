@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from itertools import combinations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -64,10 +65,10 @@ def _brute(view: str) -> Query:
         e = encode(load(spark, sf, view), order="input")
         n = len(e.order)
         full = (1 << n) - 1
-        cube = e.rows.cube(*e.order).agg(F.sum("w").alias("c"), F.grouping_id().alias("gid__"))
+        cube = e.rows.cube(*e.order).agg(F.sum("w").alias("cnt__"), F.grouping_id().alias("gid__"))
         # grouping_id has the first column as its highest bit; ours is the lowest.
         own = sum((F.when(F.col("gid__").bitwiseAND(F.lit(1 << (n - 1 - i))) == 0, F.lit(1 << i)).otherwise(F.lit(0)) for i in range(n)), F.lit(0)).cast("long")
-        logs = cube.select(own.alias("u"), "c").groupBy("u").agg(F.sum(F.col("c") * F.log2("c")).alias("l"))
+        logs = cube.select(own.alias("u"), "cnt__").groupBy("u").agg(F.sum(F.col("cnt__") * F.log2("cnt__")).alias("l"))
         q = F.lit(1.0)
         for i, a in enumerate(e.arity):
             q = q * F.when(F.col("u").bitwiseAND(F.lit(1 << i)) != 0, float(a)).otherwise(1.0)
@@ -314,7 +315,6 @@ def stream_mps(spark: SparkSession, sf: str) -> DataFrame:
 
 def udaf_entropy(spark: SparkSession, sf: str) -> DataFrame:
     """Entropy as a grouped aggregate over Arrow batches, next to the expression's."""
-    import pandas as pd
     from pyspark.sql.functions import pandas_udf
 
     @pandas_udf("double")

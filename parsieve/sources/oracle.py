@@ -14,8 +14,8 @@ def scores_sql(view: str, columns: list[str]) -> str:
     arity = " union all ".join(f"select '{c}' as name, {b}::bigint as b, count(distinct {c})::bigint as r from d" for c, b in bits.items())
     return f"""with v as ({duck_sql(view)}), d as (select {cols}, count(*) as w from v group by {cols}),
     total as (select sum(w)::double as m from d),
-    cube_counts as (select grouping_id({cols})::bigint as gid, {cols}, sum(w)::double as c from d group by cube({cols})),
-    logs as (select {full} - gid as sb, sum(c * log2(c)) as l from cube_counts group by gid),
+    cube_counts as (select grouping_id({cols})::bigint as gid, {cols}, sum(w)::double as cnt__ from d group by cube({cols})),
+    logs as (select {full} - gid as sb, sum(cnt__ * log2(cnt__)) as l from cube_counts group by gid),
     ar as ({arity}),
     q as (select sb, coalesce(product(case when (sb & ar.b) <> 0 then ar.r else 1 end), 1) as q, bit_count(sb)::int as size from logs cross join ar group by sb),
     scored as (select ar.name as target, ar.b as tb, lu.sb as ub, q.size,
