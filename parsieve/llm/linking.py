@@ -61,7 +61,8 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def _hopeful(rest: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Those rows of rest(bucket, id, n, ...) that may have a link in their bucket, with
-    `most`, the largest size of a set that they can be linked with.
+    `shared`, how many elements they can have in common with any other set, and `most`,
+    the largest size of a set that they can be linked with.
 
     An element that no other remaining set has is in no intersection. With u of them, at
     most n - u elements are shared, so a partner's size is at most
@@ -73,7 +74,7 @@ def _hopeful(rest: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     own = elems.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("id")).where("c = 1")
     own = own.groupBy("id").agg(F.count(F.lit(1)).alias("own"))
     most = F.floor((F.col("n") - F.coalesce("own", F.lit(0))) * (100 + percent) / F.lit(percent)) - F.col("n")
-    bounded = rest.join(own, "id", "left").withColumn("most", most).drop("own")
+    bounded = rest.join(own, "id", "left").withColumn("most", most).withColumn("shared", F.col("n") - F.coalesce("own", F.lit(0))).drop("own")
     least = rest.groupBy("bucket").agg(F.min("n").alias("least"))
     return bounded.join(least, "bucket").where("least <= most").drop("least")
 
@@ -86,13 +87,14 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     """
     sizes = cuts.cut(keys.groupBy("bucket").agg(F.count(F.lit(1)).alias("members")).where("members > 1"), "sizes")
     multi = cuts.cut(keys.join(sizes, "bucket"), "multi")
-    cuts.drop(sizes)
+    cuts.drop(sizes, keys)
     degree = multi.groupBy("id").agg(F.sum(F.col("members") - 1).alias("degree"))
     members = cuts.cut(multi.join(degree, "id").select("bucket", "id", "degree"), "members")
+    cuts.drop(multi)
     hubs = cuts.cut(members.groupBy("bucket").agg(F.max_by("id", F.struct("degree", "id")).alias("hub")), "hubs")
-    sets = cuts.cut(sets_of(members.select("id").distinct()), "sets")
     at_hub = cuts.cut(members.join(hubs, "bucket").select("bucket", "id", "hub"), "at-hub")
-    cuts.drop(multi, members, hubs, keys)
+    cuts.drop(members, hubs)
+    sets = cuts.cut(sets_of(at_hub.select("id").distinct()), "sets")
     spokes = at_hub.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
     star = cuts.cut(_verified(spokes, sets, percent), "star")
     first = cuts.cut(components(cuts, star.where("linked").select("a", "b")), "first")
@@ -105,10 +107,12 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     rest = cuts.cut(placed.where("id <> hub").join(mixed, "bucket").join(sets.select("id", "n"), "id"), "rest")
     cuts.drop(at_hub, placed, mixed)
     rest = cuts.cut(_hopeful(rest, sets, percent), "hopeful")
-    x = rest.select("bucket", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("far").alias("fa"), F.col("n").alias("na"), F.col("most").alias("ma"))
-    y = rest.select("bucket", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("far").alias("fb"), F.col("n").alias("nb"), F.col("most").alias("mb"))
+    x = rest.select("bucket", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("far").alias("fa"), F.col("n").alias("na"), F.col("most").alias("ma"), F.col("shared").alias("sa"))
+    y = rest.select("bucket", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("far").alias("fb"), F.col("n").alias("nb"), F.col("most").alias("mb"), F.col("shared").alias("sb"))
     near = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (F.abs(F.col("fa") - F.col("fb")) <= 1 - percent / 100 + 1e-9)
     near &= (F.col("nb") <= F.col("ma")) & (F.col("na") <= F.col("mb"))
+    common = F.least("sa", "sb")  # and so the union has na + nb - common at least
+    near &= 100 * common >= percent * (F.col("na") + F.col("nb") - common)
     across = x.join(y, "bucket").where((F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & near).select("a", "b").distinct()
     more = cuts.cut(_verified(across, sets, percent).where("linked").select("a", "b"), "more")
     cuts.drop(rest, sets, star)
