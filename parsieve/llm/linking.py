@@ -23,19 +23,21 @@ from pyspark.sql import functions as F
 from parsieve.llm.common import Cuts
 
 
+def _stars(e: DataFrame) -> bool:
+    """Whether e(u, v), v < u, is a set of disjoint stars: each u once, no v is a u."""
+    ends = e.select(F.col("u").alias("x"), F.lit(1).alias("up"), F.lit(0).alias("down")).union(e.select("v", F.lit(0), F.lit(1)))
+    met = ends.groupBy("x").agg(F.sum("up").alias("up"), F.max("down").alias("down"))
+    return met.where("up + down > 1 and up > 0").isEmpty()
+
+
 def components(cuts: Cuts, edges: DataFrame) -> DataFrame:
     """(id, component) of all end points of edges(a, b); component is the smallest id.
 
-    Rounds of large-star and small-star steps on the edge table until it no longer
-    changes; each is written, and the previous one removed.
+    Rounds of large-star and small-star steps on the edge table until it consists of
+    stars; each is written, and the previous one removed.
     """
     e = cuts.cut(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "edges")
-    before = None
-    while True:
-        seal = e.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v"))).first()
-        if seal == before or not seal[0]:
-            return e.select(F.col("u").alias("id"), F.col("v").alias("component")).union(e.select("v", "v").distinct())
-        before = seal
+    while not _stars(e):
         both = e.union(e.select("v", "u"))
         low = cuts.cut(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "low")
         large = cuts.cut(both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct(), "large")
@@ -44,6 +46,7 @@ def components(cuts: Cuts, edges: DataFrame) -> DataFrame:
         small = large.join(low, "u")
         e = cuts.cut(small.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").union(low.select("u", F.col("m").alias("v"))).distinct(), "edges")
         cuts.drop(large, low)
+    return e.select(F.col("u").alias("id"), F.col("v").alias("component")).union(e.select("v", "v").distinct())
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
