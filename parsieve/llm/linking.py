@@ -4,10 +4,11 @@ Items share buckets; two items of a bucket are a candidate pair; a pair is linke
 Jaccard similarity of their full element sets reaches a threshold; the result is the
 components of the links. Pairs inside one component need no look, so not all of a bucket
 is paired up: each bucket's best connected item (its hub) is compared with the others,
-the links found give components, and only pairs of different components that still
-share a bucket are compared after that. The distance 1 - Jaccard is a metric, so the
-known distances to the hub rule out many of those without a look at the sets. What is
-left out can change no component: the result is that of all candidate pairs.
+and the links found give components. Items whose buckets still hold several components
+then meet by prefixes: with all elements in one order, rarest first, a pair can only be
+linked if it shares one of the first few of either set, and the places of the first
+shared one bound the intersection. What is left out can change no component: all linked
+candidate pairs count, and so do linked pairs that meet by prefixes without a bucket.
 
 Joins on a key that may be hot read a written side, so that adaptive execution can
 split the hot partition, and every aggregation is combined before its shuffle.
@@ -17,7 +18,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from parsieve.llm.common import Cuts
@@ -50,36 +51,44 @@ def components(cuts: Cuts, edges: DataFrame) -> DataFrame:
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """pairs(a, b) with their distance and whether they reach the threshold."""
+    """Those of pairs(a, b) that reach the threshold."""
     one = sets.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("elems").alias("ea"))
     two = sets.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("elems").alias("eb"))
     common = F.size(F.array_intersect("ea", "eb")).cast("long")
-    return (
-        pairs.join(one, "a")
-        .join(two, "b")
-        .select("a", "b", common.alias("c"), (F.col("na") + F.col("nb") - common).alias("all"))
-        .select("a", "b", (1 - F.col("c") / F.col("all")).alias("far"), (100 * F.col("c") >= percent * F.col("all")).alias("linked"))
-    )
-
-
-def _hopeful(rest: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Those rows of rest(bucket, id, n, ...) that may have a link in their bucket, with
-    `shared`, how many elements they can have in common with any other set, and `most`,
-    the largest size of a set that they can be linked with.
-
-    An element that no other remaining set has is in no intersection. With u of them, at
-    most n - u elements are shared, so a partner's size is at most
-    (n - u) * (100 + percent) / percent - n: a row for which all of its bucket is larger
-    than that is done. This holds for any data and needs no pair.
+    met = pairs.join(one, "a").join(two, "b").select("a", "b", "na", "nb", common.alias("c"))
+    return met.where(_enough(F.col("c"), percent)).select("a", "b")
+
+
+def _enough(common: Column, percent: int) -> Column:
+    """Whether sets of na and nb elements, `common` of them shared, are linked."""
+    return 100 * common >= percent * (F.col("na") + F.col("nb") - common)
+
+
+def _prefix_pairs(cuts: Cuts, items: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of different components that may be linked, a superset of those that
+    are, from items(id, component, n, elems).
+
+    Elements found in one component only are in no intersection that counts; in the order
+    they come first. A set of n elements shares at least ceil(percent * n / 100) with a
+    partner, so one of its first n + 1 less that many is shared. From the first shared
+    one on, the intersection is no larger than what follows in either set.
     """
-    ids = rest.select("id").distinct()
-    elems = sets.join(ids, "id", "left_semi").select("id", F.explode("elems").alias("e"))
-    own = elems.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("id")).where("c = 1")
-    own = own.groupBy("id").agg(F.count(F.lit(1)).alias("own"))
-    most = F.floor((F.col("n") - F.coalesce("own", F.lit(0))) * (100 + percent) / F.lit(percent)) - F.col("n")
-    bounded = rest.join(own, "id", "left").withColumn("most", most).withColumn("shared", F.col("n") - F.coalesce("own", F.lit(0))).drop("own")
-    least = rest.groupBy("bucket").agg(F.min("n").alias("least"))
-    return bounded.join(least, "bucket").where("least <= most").drop("least")
+    each = items.select("id", "component", "n", F.explode("elems").alias("e"))
+    across = each.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
+    across = cuts.cut(across.select("e", "c"), "across")
+    useful = each.join(across, "e").groupBy("id").agg(F.first("component").alias("component"), F.first("n").alias("n"), F.sort_array(F.collect_list(F.struct("c", "e"))).alias("useful"))
+    n, size = F.col("n"), F.size("useful")
+    length = n + 1 - F.ceil(n * percent / 100) - (n - size)
+    prefix = F.slice("useful", F.lit(1), F.greatest(length, F.lit(0)).cast("int"))
+    rows = useful.select("id", "component", "n", size.alias("size"), F.posexplode(prefix).alias("i", "x"))
+    rows = cuts.cut(rows.select("id", "component", "n", F.col("x.e").alias("e"), (F.col("size") - F.col("i")).alias("after")), "prefixes")
+    cuts.drop(across)
+    x = rows.select("e", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("n").alias("na"), F.col("after").alias("fa"))
+    y = rows.select("e", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("n").alias("nb"), F.col("after").alias("fb"))
+    pairs = x.join(y, "e").where((F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & _enough(F.least("fa", "fb"), percent))
+    pairs = cuts.cut(pairs.select("a", "b").distinct(), "pairs")
+    cuts.drop(rows)
+    return pairs
 
 
 def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame], percent: int) -> DataFrame:
@@ -100,25 +109,21 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     sets = cuts.cut(sets_of(at_hub.select("id").distinct()), "sets")
     spokes = at_hub.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
     star = cuts.cut(_verified(spokes, sets, percent), "star")
-    first = cuts.cut(components(cuts, star.where("linked").select("a", "b")), "first")
-    # What is left: buckets that still hold several components.
-    placed = at_hub.join(first, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    placed = cuts.cut(placed.join(star.select(F.col("a").alias("id"), F.col("b").alias("hub"), "far"), ["id", "hub"], "left"), "placed")
-    # The hub itself has met everyone; with no more than one other component nothing is left.
-    mixed = placed.where("id <> hub").groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
+    first = cuts.cut(components(cuts, star), "first")
+    cuts.drop(star)
+    # What is left: buckets that still hold several components. The hub itself has met
+    # everyone; with no more than one other component nothing is left.
+    placed = at_hub.where("id <> hub").join(first, "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
+    placed = cuts.cut(placed, "placed")
+    mixed = placed.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
     mixed = cuts.cut(mixed.select("bucket"), "mixed")
-    rest = cuts.cut(placed.where("id <> hub").join(mixed, "bucket").join(sets.select("id", "n"), "id"), "rest")
+    rest = placed.join(mixed, "bucket").select("id", "component").distinct()
+    rest = cuts.cut(rest.join(sets, "id"), "rest")
     cuts.drop(at_hub, placed, mixed)
-    rest = cuts.cut(_hopeful(rest, sets, percent), "hopeful")
-    x = rest.select("bucket", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("far").alias("fa"), F.col("n").alias("na"), F.col("most").alias("ma"), F.col("shared").alias("sa"))
-    y = rest.select("bucket", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("far").alias("fb"), F.col("n").alias("nb"), F.col("most").alias("mb"), F.col("shared").alias("sb"))
-    near = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (F.abs(F.col("fa") - F.col("fb")) <= 1 - percent / 100 + 1e-9)
-    near &= (F.col("nb") <= F.col("ma")) & (F.col("na") <= F.col("mb"))
-    common = F.least("sa", "sb")  # and so the union has na + nb - common at least
-    near &= 100 * common >= percent * (F.col("na") + F.col("nb") - common)
-    across = x.join(y, "bucket").where((F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & near).select("a", "b").distinct()
-    more = cuts.cut(_verified(across, sets, percent).where("linked").select("a", "b"), "more")
-    cuts.drop(rest, sets, star)
+    pairs = _prefix_pairs(cuts, rest, percent)
+    cuts.drop(sets)
+    more = cuts.cut(_verified(pairs, rest, percent), "more")
+    cuts.drop(rest, pairs)
     if more.isEmpty():
         return first
     return components(cuts, first.select(F.col("id").alias("a"), F.col("component").alias("b")).union(more))
