@@ -2,12 +2,14 @@
 
 A line (trimmed, not empty) is its set of character shingles of length Q, taken over
 UTF-16 units so that any of them is a constant-time slice; a shorter line is one shingle.
-Shingle hashes stream through whole-stage code into one aggregation per distinct line:
-each of HASHES rehashes is read in four rotations, each rotation gives a minimum and a
-maximum, and BANDS groups of ROWS of these values are the buckets (a pair at 0.8 shares
-none with probability (1 - 0.8^4)^12 < 0.002). Links are confirmed on full shingle sets,
-components found by star contraction, and one line of each component stays: the first
-position in the document with the smallest doc_id that has a line of it.
+Signatures come from one hash of each shingle: the hash deals a line's shingles over BANDS
+parts, and of each part the least and the greatest in two orders (min-wise values of that
+part) are the bucket. So whole-stage code streams every shingle into one aggregation with
+four values. A part of a pair at 0.8 agrees with probability 0.8^4 or more (fewer extremes
+than four differ in small parts), so it shares no bucket with probability below
+(1 - 0.8^4)^12 < 0.002. Links are confirmed on full shingle sets, components found by star
+contraction, and one line of each component stays: the first position in the document with
+the smallest doc_id that has a line of it.
 
 Lines are told apart by a 64-bit hash of the trimmed text.
 """
@@ -21,9 +23,7 @@ from parsieve.llm.common import Cuts
 from parsieve.llm.linking import link
 
 Q = 7
-HASHES, ROTATIONS = 6, (0, 16, 32, 48)
-ROWS = 4
-BANDS = 2 * HASHES * len(ROTATIONS) // ROWS
+BANDS = 12
 PERCENT = 80
 
 
@@ -37,38 +37,38 @@ def _units(line: Column) -> Column:
     return F.encode(line, "UTF-16BE")
 
 
-def _shingle(units: Column, i: Column) -> Column:
-    return F.xxhash64(F.substring(units, 2 * i + 1, F.lit(2 * Q)))
+def _shingle(units: Column, at: Column) -> Column:
+    return F.xxhash64(F.substring(units, at, F.lit(2 * Q)))
 
 
-def _last(units: Column) -> Column:
-    """Position of the last shingle."""
-    return F.greatest((F.octet_length(units) / 2).cast("int") - Q, F.lit(0))
-
-
-def _turned(h: Column, by: int) -> Column:
-    return F.shiftleft(h, by).bitwiseOR(F.shiftrightunsigned(h, 64 - by)) if by else h
+def _places(units: Column) -> Column:
+    """1-based byte positions of the shingles; 1 alone for a line of at most Q units."""
+    return F.sequence(F.lit(1), F.greatest(F.octet_length(units) - 2 * Q + 1, F.lit(1)), F.lit(2))
 
 
 def band_keys(lines: DataFrame) -> DataFrame:
-    """key, n (occurrences), first_doc, buckets of each distinct line; repeated lines of a
-    task are combined before the shuffle."""
+    """key, bucket for each part that a distinct line has shingles in; n (occurrences) and
+    first_doc on one row of each line, null on the others. Repeated lines of a task are
+    combined before the shuffle; the parts of a line stay where the line is."""
     distinct = lines.groupBy("key").agg(F.min("line").alias("line"), F.min("doc_id").alias("first_doc"), F.count(F.lit(1)).alias("n"))
     units = distinct.select("key", "first_doc", "n", _units(F.col("line")).alias("units"))
-    each = units.select("key", "first_doc", "n", "units", F.explode(F.sequence(F.lit(0), _last(F.col("units")))).alias("i"))
-    h = each.select("key", "first_doc", "n", _shingle(F.col("units"), F.col("i")).alias("h"))
-    hashed = h.select("key", "first_doc", "n", *(F.xxhash64("h", F.lit(j)).alias(f"h{j}") for j in range(HASHES)))
-    ends = [f(_turned(F.col(f"h{j}"), r)).alias(f"v{j}_{r}_{name}") for r in ROTATIONS for name, f in (("lo", F.min), ("hi", F.max)) for j in range(HASHES)]
-    values = hashed.groupBy("key").agg(F.first("first_doc").alias("first_doc"), F.first("n").alias("n"), *ends)
-    names = [f"v{j}_{r}_{name}" for r in ROTATIONS for name in ("lo", "hi") for j in range(HASHES)]
-    buckets = [F.xxhash64(F.lit(b), *(names[b + BANDS * r] for r in range(ROWS))) for b in range(BANDS)]
-    return values.select("key", "n", "first_doc", F.array(*buckets).alias("buckets"))
+    each = units.select("key", "first_doc", "n", "units", F.explode(_places(F.col("units"))).alias("at"))
+    h = each.select("key", "first_doc", "n", "at", _shingle(F.col("units"), F.col("at")).alias("h"))
+    parts = h.select("key", "first_doc", "n", "at", "h", F.xxhash64("h").alias("g"), F.pmod("h", F.lit(BANDS)).alias("band"))
+    ends = parts.groupBy("key", "band").agg(
+        *(f(c).alias(f"{name}_{c}") for c in ("h", "g") for name, f in (("lo", F.min), ("hi", F.max))),
+        F.min("at").alias("at"),
+        F.first("first_doc").alias("first_doc"),
+        F.first("n").alias("n"),
+    )
+    lead = F.col("at") == 1
+    return ends.select("key", F.xxhash64("band", "lo_h", "hi_h", "lo_g", "hi_g").alias("bucket"), F.when(lead, F.col("n")).alias("n"), F.when(lead, F.col("first_doc")).alias("first_doc"))
 
 
 def line_sets(lines: DataFrame) -> DataFrame:
     """id, n, elems: the full shingle set of each given line."""
     units = lines.select("key", _units(F.col("line")).alias("units"))
-    elems = F.array_distinct(F.transform(F.sequence(F.lit(0), _last(F.col("units"))), lambda i: _shingle(F.col("units"), i)))
+    elems = F.array_distinct(F.transform(_places(F.col("units")), lambda at: _shingle(F.col("units"), at)))
     return units.select(F.col("key").alias("id"), elems.alias("elems")).select("id", F.size("elems").cast("long").alias("n"), "elems")
 
 
@@ -81,15 +81,15 @@ def repeated_lines(spark: SparkSession, docs: DataFrame, percent: int = PERCENT)
     cuts = Cuts(spark)
     lines = lines_of(docs.select("doc_id", "text").where("doc_id is not null"))
     signed = cuts.cut(band_keys(lines), "signed")
-    keys = signed.select(F.col("key").alias("id"), F.explode("buckets").alias("bucket")).distinct()
-    firsts = signed.select("key", F.col("first_doc").alias("doc_id"))
+    each = signed.where("n is not null")
+    firsts = each.select("key", F.col("first_doc").alias("doc_id"))
 
     def sets_of(ids: DataFrame) -> DataFrame:
         wanted = firsts.join(ids, firsts["key"] == ids["id"], "left_semi")
         return line_sets(lines.join(wanted, ["doc_id", "key"], "left_semi").dropDuplicates(["key"]))
 
-    found = link(cuts, cuts.cut(keys, "keys"), sets_of, percent)
-    counted = signed.select("key", "n", "first_doc").join(found.withColumnRenamed("id", "key"), "key", "left")
+    found = link(cuts, signed.select(F.col("key").alias("id"), "bucket"), sets_of, percent)
+    counted = each.join(found.withColumnRenamed("id", "key"), "key", "left")
     several = cuts.cut(counted.where("n > 1 or component is not null").select("key", "first_doc", F.coalesce("component", "key").alias("component")), "several")
     homes = several.groupBy("component").agg(F.min("first_doc").alias("home"))
     homes = cuts.cut(several.select("key", "component").join(homes, "component"), "homes")
