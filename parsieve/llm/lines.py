@@ -47,7 +47,7 @@ def _places(units: Column) -> Column:
 
 
 def band_keys(lines: DataFrame) -> DataFrame:
-    """key, bucket for each part that a distinct line has shingles in; n (occurrences) and
+    """id (the line's key), bucket for each part that a distinct line has shingles in; n (occurrences) and
     first_doc on one row of each line, null on the others. Repeated lines of a task are
     combined before the shuffle; the parts of a line stay where the line is."""
     distinct = lines.groupBy("key").agg(F.min("line").alias("line"), F.min("doc_id").alias("first_doc"), F.count(F.lit(1)).alias("n"))
@@ -62,7 +62,7 @@ def band_keys(lines: DataFrame) -> DataFrame:
         F.first("n").alias("n"),
     )
     lead = F.col("at") == 1
-    return ends.select("key", F.xxhash64("band", "lo_h", "hi_h", "lo_g", "hi_g").alias("bucket"), F.when(lead, F.col("n")).alias("n"), F.when(lead, F.col("first_doc")).alias("first_doc"))
+    return ends.select(F.col("key").alias("id"), F.xxhash64("band", "lo_h", "hi_h", "lo_g", "hi_g").alias("bucket"), F.when(lead, F.col("n")).alias("n"), F.when(lead, F.col("first_doc")).alias("first_doc"))
 
 
 def line_sets(lines: DataFrame) -> DataFrame:
@@ -81,14 +81,14 @@ def repeated_lines(spark: SparkSession, docs: DataFrame, percent: int = PERCENT)
     cuts = Cuts(spark)
     lines = lines_of(docs.select("doc_id", "text").where("doc_id is not null"))
     signed = cuts.cut(band_keys(lines), "signed")
-    each = signed.where("n is not null")
+    each = cuts.cut(signed.where("n is not null").select(F.col("id").alias("key"), "n", "first_doc"), "each")
     firsts = each.select("key", F.col("first_doc").alias("doc_id"))
 
     def sets_of(ids: DataFrame) -> DataFrame:
         wanted = firsts.join(ids, firsts["key"] == ids["id"], "left_semi")
         return line_sets(lines.join(wanted, ["doc_id", "key"], "left_semi").dropDuplicates(["key"]))
 
-    found = link(cuts, signed.select(F.col("key").alias("id"), "bucket"), sets_of, percent)
+    found = link(cuts, signed, sets_of, percent)
     counted = each.join(found.withColumnRenamed("id", "key"), "key", "left")
     several = cuts.cut(counted.where("n > 1 or component is not null").select("key", "first_doc", F.coalesce("component", "key").alias("component")), "several")
     homes = several.groupBy("component").agg(F.min("first_doc").alias("home"))

@@ -50,12 +50,16 @@ def components(cuts: Cuts, edges: DataFrame) -> DataFrame:
     return e.select(F.col("u").alias("id"), F.col("v").alias("component")).union(e.select("v", "v").distinct())
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Those of pairs(a, b) that reach the threshold."""
-    one = sets.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("elems").alias("ea"))
-    two = sets.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("elems").alias("eb"))
+def _verified(cuts: Cuts, pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Those of pairs(a, b) that reach the threshold. Elements move only for pairs whose
+    sizes allow it: a union has the larger set's size at least."""
+    size = sets.select("id", "n")
+    near = pairs.join(size.select(F.col("id").alias("a"), F.col("n").alias("na")), "a").join(size.select(F.col("id").alias("b"), F.col("n").alias("nb")), "b")
+    near = cuts.cut(near.where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")), "near")
+    one = sets.select(F.col("id").alias("a"), F.col("elems").alias("ea"))
+    two = sets.select(F.col("id").alias("b"), F.col("elems").alias("eb"))
     common = F.size(F.array_intersect("ea", "eb")).cast("long")
-    met = pairs.join(one, "a").join(two, "b").select("a", "b", "na", "nb", common.alias("c"))
+    met = near.join(one, "a").join(two, "b").select("a", "b", "na", "nb", common.alias("c"))
     return met.where(_enough(F.col("c"), percent)).select("a", "b")
 
 
@@ -95,10 +99,10 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     """(id, component) of every item with a link, from keys(id, bucket).
 
     `sets_of(ids)` gives (id, n, elems array<bigint> of distinct elements) of the items
-    asked for. Items are linked if 100 * |A and B| >= percent * |A or B|.
+    asked for; the table of keys is dropped when it is used up. Items are linked if 100 * |A and B| >= percent * |A or B|.
     """
     sizes = cuts.cut(keys.groupBy("bucket").agg(F.count(F.lit(1)).alias("members")).where("members > 1"), "sizes")
-    multi = cuts.cut(keys.join(sizes, "bucket"), "multi")
+    multi = cuts.cut(keys.select("id", "bucket").join(sizes, "bucket"), "multi")
     cuts.drop(sizes, keys)
     degree = multi.groupBy("id").agg(F.sum(F.col("members") - 1).alias("degree"))
     members = cuts.cut(multi.join(degree, "id").select("bucket", "id", "degree"), "members")
@@ -108,7 +112,7 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     cuts.drop(members, hubs)
     sets = cuts.cut(sets_of(at_hub.select("id").distinct()), "sets")
     spokes = at_hub.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
-    star = cuts.cut(_verified(spokes, sets, percent), "star")
+    star = cuts.cut(_verified(cuts, spokes, sets, percent), "star")
     first = cuts.cut(components(cuts, star), "first")
     cuts.drop(star)
     # What is left: buckets that still hold several components. The hub itself has met
@@ -122,7 +126,7 @@ def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame],
     cuts.drop(at_hub, placed, mixed)
     pairs = _prefix_pairs(cuts, rest, percent)
     cuts.drop(sets)
-    more = cuts.cut(_verified(pairs, rest, percent), "more")
+    more = cuts.cut(_verified(cuts, pairs, rest, percent), "more")
     cuts.drop(rest, pairs)
     if more.isEmpty():
         return first
