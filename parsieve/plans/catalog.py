@@ -13,6 +13,7 @@ from parsieve.functions.scores import Aic, Bdeu, Mdl
 from parsieve.functions.bitset import from_names, names
 from parsieve.operators import baselines, kernel, lookup, metrics, network, relational
 from parsieve.operators.search import find_parent_sets
+from parsieve.plans import surround
 from parsieve.plans.encode import encode
 from parsieve.sources import oracle
 from parsieve.sources.io import table
@@ -355,7 +356,7 @@ def queries() -> dict[str, Query]:
         "win_transitions": q_running, "pivot_flags": q_pivot, "setops_nations": q_sets, "win_turns": q_turns, "udaf_entropy": udaf_entropy,
         "stream_contingency": q_stream("contingency"), "stream_tumbling": q_stream("tumbling"), "stream_sliding": q_stream("sliding"), "stream_sessions": q_stream("sessions"), "stream_dedup": q_stream("dedup"), "stream_mps": stream_mps,
     }
-    return out
+    return out | surround.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
@@ -387,4 +388,4 @@ def oracle_sql() -> dict[str, str]:
         "stream_dedup": "select event_type, count(distinct event_id) as n from events group by all",
         "fold_memory_bounds": "with k as (select i::int as layer from range(0, 12) t(i)) select layer, 12 * (factorial(11) / (factorial(layer) * factorial(11 - layer)))::bigint as unfolded_rows, (factorial(12) / (factorial(layer) * factorial(12 - layer)))::bigint as folded_rows, (12 - layer) / 2.0 as ratio from k",
     }
-    return out
+    return out | surround.SQL
