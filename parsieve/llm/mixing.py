@@ -18,6 +18,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 BLOCK = 4096
+NEAR = 1e-9
 MOST_SOURCES = 100_000
 
 
@@ -55,6 +56,11 @@ def bisect(holds, steps: int = 60) -> float:
     return high
 
 
+def snapped(passes: float) -> float:
+    """A number of passes within NEAR of a whole one is that: rounding must cost no row."""
+    return float(round(passes)) if abs(passes - round(passes)) <= NEAR else passes
+
+
 def plan(sizes: dict, repetitions: float | None = 2.0, target_entropy: float | None = None, budget: float | None = None) -> Plan:
     """Weights for token counts by source. Without a budget the source that is cut most
     gets exactly one pass, so that no row is lost; with one, each gets its share of it.
@@ -69,7 +75,7 @@ def plan(sizes: dict, repetitions: float | None = 2.0, target_entropy: float | N
     def spent(power: float) -> tuple[float, dict, dict]:
         w = tempered(sizes, power)
         total = budget if budget is not None else max(n / w[s] for s, n in sizes.items())
-        return total, w, {s: total * w[s] / n for s, n in sizes.items()}
+        return total, w, {s: snapped(total * w[s] / n) for s, n in sizes.items()}
 
     if target_entropy is not None:
         power = 1 - bisect(lambda x: entropy(tempered(sizes, 1 - x)) >= target_entropy)
