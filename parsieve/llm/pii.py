@@ -5,7 +5,9 @@ and letters for letters in the same format (an address stays one, a card number
 check digit's validity), given names by gender and script of the title and name. The
 replacement is a function of key, entity and attempt; over the table of distinct entities
 attempts go up until replacements are distinct and none is itself an entity, so equal
-entities stay equal and different ones different across the corpus.
+entities stay equal and different ones different across the corpus. What still clashes after
+ATTEMPTS, or has nothing to replace, leaves the exact format: it gets a keyed token
+besides, which grows with every further attempt, so no corpus runs out of replacements.
 """
 
 from __future__ import annotations
@@ -36,7 +38,8 @@ NUMBER = r"(?<![\p{L}\p{N}-])\d{3}-\d{2}-\d{4}(?![\p{L}\p{N}-])"
 PERSON = rf"(?<![\p{{L}}\p{{N}}])(?:{_TITLES})\.? {_NAME}"
 ANY = "|".join((EMAIL, ADDRESS, CARD, NUMBER, PHONE, PERSON))
 HINT = rf"@|\d[\d.() -]{{5}}|(?:{_TITLES})\.? \p{{Lu}}"
-ATTEMPTS = 64
+ATTEMPTS = 64  # in the entity's own format
+TOKEN, TOKEN_STEP = 8, 2  # digits of the token, and more of them for each attempt with it
 
 
 def kind_of(entity: Column) -> Column:
@@ -114,13 +117,41 @@ def surrogate(entity: Column, kind: Column, key: str, attempt: Column) -> Column
     return F.when(kind == "email", email).when(kind == "address", address).when(kind == "card", card).when(kind == "person", names).otherwise(_filled(entity, seed))
 
 
+def _fixed(entity: Column, kind: Column) -> Column:
+    """Whether a mail address has nothing before its last label that could be replaced."""
+    return (kind == "email") & ~F.regexp_replace(entity, r"[^.]+$", "").rlike(r"[0-9\p{L}\p{IsCyrillic}]")
+
+
+def _longer(entity: Column, kind: Column, plain: Column, key: str, attempt: Column, extra: Column) -> Column:
+    """The surrogate `plain` with a keyed token: letters at the end of the local part or of
+    the name, else a group of digits at the end. Tokens tell case variants apart."""
+    seed = F.sha2(F.concat_ws("\x00", F.lit(key), F.lit("token"), kind, entity, attempt.cast("string")), 512)
+    hexed = F.substring(seed, F.lit(1), (F.lit(TOKEN) + TOKEN_STEP * extra).cast("int"))
+    spelt = lambda letters: F.translate(hexed, "0123456789abcdef", letters)
+    latin, cyrillic = spelt("abcdefghijklmnop"), spelt("абвгдежзиклмнопр")
+    at = F.instr(plain, "@")
+    email = F.concat(F.substring(plain, F.lit(1), at - 1), latin, F.substring(plain, at, F.length(plain)))
+    person = F.concat(plain, F.when(plain.rlike(r"\p{IsCyrillic}$"), cyrillic).otherwise(latin))
+    return F.when(kind == "email", email).when(kind == "person", person).otherwise(F.concat(plain, F.lit("-"), spelt("0123456789012345")))
+
+
+def _tried(rows: DataFrame, key: str) -> DataFrame:
+    """entity, kind, attempt with the surrogate of that attempt."""
+    entity, kind, attempt = F.col("entity"), F.col("kind"), F.col("attempt")
+    extra = attempt - F.when(_fixed(entity, kind), 0).otherwise(ATTEMPTS)
+    plain = rows.select("entity", "kind", "attempt", extra.alias("extra"), surrogate(entity, kind, key, attempt).alias("plain"))
+    chosen = F.when(F.col("extra") < 0, F.col("plain")).otherwise(_longer(entity, kind, F.col("plain"), key, attempt, F.col("extra")))
+    return plain.select("entity", "kind", "attempt", chosen.alias("surrogate"))
+
+
 def surrogates(spark: SparkSession, entities: DataFrame, key: str) -> DataFrame:
     """(entity, kind, surrogate), distinct and disjoint from the entities, from a table
-    of distinct entities. Of those that meet the smallest keeps its attempt."""
+    of distinct entities. Of those that meet the smallest keeps its attempt. After
+    ATTEMPTS rounds each further one draws from a space 256 times (digits: 100 times) the last."""
     cuts = Cuts(spark)
     real = cuts.cut(entities.select("entity", kind_of(F.col("entity")).alias("kind"), F.lit(0).alias("attempt")), "entities")
-    now = cuts.cut(real.withColumn("surrogate", surrogate(F.col("entity"), F.col("kind"), key, F.col("attempt"))), "surrogates")
-    for _ in range(ATTEMPTS):
+    now = cuts.cut(_tried(real, key), "surrogates")
+    while True:
         many = now.groupBy("surrogate").agg(F.count(F.lit(1)).alias("c"), F.min("entity").alias("keeper"))
         taken = real.select(F.col("entity").alias("surrogate"), F.lit(True).alias("real"))
         clash = cuts.cut(many.join(taken, "surrogate", "left").where("c > 1 or real").select("surrogate", "keeper", "real"), "clash")
@@ -129,8 +160,9 @@ def surrogates(spark: SparkSession, entities: DataFrame, key: str) -> DataFrame:
         moved = now.join(clash, "surrogate", "left")
         again = F.coalesce(F.col("real"), F.col("keeper") != F.col("entity"), F.lit(False))
         step = moved.select("entity", "kind", (F.col("attempt") + again.cast("int")).alias("attempt"))
-        now = cuts.cut(step.withColumn("surrogate", surrogate(F.col("entity"), F.col("kind"), key, F.col("attempt"))), "surrogates")
-    raise ValueError("a kind of entity has fewer formats than entities")
+        after = cuts.cut(_tried(step, key), "surrogates")
+        cuts.drop(now, clash)
+        now = after
 
 
 def pseudonymised(spark: SparkSession, docs: DataFrame, key: str = "parsieve") -> DataFrame:
