@@ -3,7 +3,8 @@
 `CharModel` is a character Markov chain with additive smoothing. Two of them, one
 trained on random strings and one on ordinary identifiers, are compared by their
 log-likelihood ratio per character on every candidate string of a text; strings above
-the threshold become spans of kind `random`. Base spans are never removed or changed.
+the threshold become spans of kind `random`. Of a string below it the parts between
+separators are candidates in turn, so a secret in a path or an assignment is found too. Base spans are never removed or changed.
 """
 
 from __future__ import annotations
@@ -27,7 +28,10 @@ HEX = re.compile(r"[0-9a-f]{16,}")  # the same spans as every maximal run, then
 LEAST_VALUE, LEAST_ACCESS = 12, 18
 KINDS = ("assign", "access", "hex", "random")
 
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
+LEAST_RANDOM = 16
+CANDIDATE = re.compile(rf"[A-Za-z0-9+/_=-]{{{LEAST_RANDOM},}}")
+# Separators by which a candidate falls into parts, the last ones also found in base64.
+PARTED = tuple(re.compile(p) for p in (r"[^=]+", r"[^=_-]+", r"[^=_/-]+"))
 _DIGIT = re.compile(r"[0-9]")
 _HINT = re.compile(r"pass|secret|token|api", re.IGNORECASE)
 
@@ -63,15 +67,30 @@ class SecretModel(NamedTuple):
         path = CharModel.path(s)
         return float(self.ratio[path[:-1], path[1:]].sum() / max(1, len(s)))
 
+    def found(self, s: str, level: int = 0) -> Iterator[tuple[int, int]]:
+        """(start, end) of s if it is above the threshold, else of its parts that are."""
+        if self.score(s) > self.threshold:
+            yield 0, len(s)
+        elif level < len(PARTED):
+            for m in PARTED[level].finditer(s):
+                if m.end() - m.start() >= LEAST_RANDOM:
+                    for a, b in self.found(m[0], level + 1):
+                        yield m.start() + a, m.start() + b
+
+    def highest(self, s: str) -> float:
+        """The largest score of s and of its parts, as `found` tries them."""
+        parts = (m[0] for p in PARTED for m in p.finditer(s) if len(m[0]) >= LEAST_RANDOM)
+        return max(map(self.score, {s, *parts}))
+
 
 def train(samples: Iterable[tuple[str, bool]], quantile: float = 0.999) -> SecretModel:
     """From (string, is_secret). The threshold is the given quantile of the ordinary
-    samples' scores, 0 at least, so that about 1 - quantile of them would be marked."""
+    samples' highest scores, 0 at least, so that about 1 - quantile of them would be marked."""
     rows = list(samples)
     random, ordinary = [s for s, y in rows if y], [s for s, y in rows if not y]
     ratio = CharModel(random).log - CharModel(ordinary).log
     model = SecretModel(ratio, 0.0)
-    scores = [model.score(s) for s in ordinary]
+    scores = [model.highest(s) for s in ordinary]
     return SecretModel(ratio, max(0.0, float(np.quantile(scores, quantile))) if scores else 0.0)
 
 
@@ -86,10 +105,27 @@ PARTS = (
     "vector matrix model train batch layer weight version release build package module import export local global"
 ).split()
 
+# Parts of long words in other languages of prose, which hold no digit either.
+SYLLABLES = (
+    "schaft heit keit ung lich isch ver ge be ent zer auf aus ein über schiff fahrt gesell haus zeit arbeit recht "
+    "geber schutz kranken sicher pflicht sch chen pf tz ische einheit wissen stadt bahn strasse fracht dampf ober "
+    "tion ment eau aux ou elle ette ique ance ence ouille pre con trans inter anti dis able ness less ship ing ight "
+    "thing ent ion ough stre sion cion dad mente ando iendo ción zione mento ario istica bili tate ely ment ation"
+).replace("ü", "ue").replace("ó", "o").split()
+
+
+def _plain(h: bytes) -> str:
+    """An ordinary string without words of code: a ruled line or a long word."""
+    if h[0] % 4 == 0:
+        pair = ("-=_/+"[h[1] % 5] + "-=_/+"[h[2] % 5], ALPHABET[h[1] % len(ALPHABET)] * 2)[h[3] % 2]
+        return pair * (8 + h[4] % 24)
+    s = "".join(SYLLABLES[h[j] % len(SYLLABLES)] for j in range(1, 6 + h[6] % 4))
+    return (s, s, s.title(), s.upper())[h[7] % 4]
+
 
 def labelled_samples(n: int = 4000, seed: str = "secret-samples") -> list[tuple[str, bool]]:
-    """n secrets (base64, base62, hexadecimal) and n ordinary identifiers with numbers,
-    drawn from a keyed hash so that every run trains the same models."""
+    """n secrets (base64, base62, hexadecimal), n ordinary identifiers with numbers and n
+    ruled lines and long words, drawn from a keyed hash so that every run trains the same models."""
     rows: list[tuple[str, bool]] = []
     for i in range(n):
         h = hashlib.sha512(f"{seed}/{i}".encode()).digest()
@@ -107,7 +143,7 @@ def labelled_samples(n: int = 4000, seed: str = "secret-samples") -> list[tuple[
             s = "/".join([*words, "v" + number])
         else:
             s = "-".join([*words, number]).upper() if h[43] % 2 else "-".join([*words, number])
-        rows.append((s, False))
+        rows += [(s, False), (_plain(h[44:]), False)]
     return rows
 
 
@@ -124,12 +160,8 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 
 def random_spans(text: str, model: SecretModel) -> list[tuple[int, int, int]]:
-    """Candidates with a digit that the random model explains better by the threshold."""
-    return [
-        (m.start(), 3, m.end())
-        for m in CANDIDATE.finditer(text)
-        if _DIGIT.search(m[0]) and model.score(m[0]) > model.threshold
-    ]
+    """Candidates, or parts of them, that the random model explains better by the threshold."""
+    return [(m.start() + a, 3, m.start() + b) for m in CANDIDATE.finditer(text) for a, b in model.found(m[0])]
 
 
 def _listed(spans: list[tuple[int, int, int]]) -> str:
