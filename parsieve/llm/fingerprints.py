@@ -18,7 +18,8 @@ from itertools import combinations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from parsieve.llm.common import partitions
+from parsieve.llm.common import Cuts, partitions
+from parsieve.llm.linking import components
 
 LONG, WEIGHT = 6, 8
 _NO_ID = -(1 << 63)
@@ -109,8 +110,7 @@ def edited(text: Column, following: Column) -> Column:
 
 def document_fingerprints(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited,
-    near_next, hamming_edited, hamming_next; a row per input row. A null text counts as
-    empty. The text is shuffled once, by ranges of doc_id; all else follows in place."""
+    near_next; a row per input row. A null text counts as empty. The text is shuffled once, by ranges of doc_id; all else follows in place."""
     base = with_next(spark, docs)
     text, change = F.col("text"), edited(F.col("text"), F.coalesce("next_text", F.lit("")))
     sides = F.array(F.struct(F.lit(0).alias("side"), words_of(text).alias("words")), F.struct(F.lit(1).alias("side"), words_of(change).alias("words")))
@@ -131,10 +131,12 @@ def document_fingerprints(spark: SparkSession, docs: DataFrame) -> DataFrame:
     )
 
 
-def near_fingerprints(fps: DataFrame, radius: int = 3, blocks: int = 6) -> DataFrame:
+def near_fingerprints(fps: DataFrame, radius: int = 3, blocks: int = 6, cuts: Cuts | None = None) -> DataFrame:
     """a, b, distance: all pairs a < b of different fingerprints within the radius.
 
     From a bigint column `fp`; equal fingerprints are one item, so copies cost nothing.
+    With `cuts` the block tables are written, without the keys of one item, so that
+    adaptive execution can split a hot key.
     """
     if not 0 <= radius < blocks <= 64:
         raise ValueError("more blocks than the radius are needed, 64 at most")
@@ -144,6 +146,23 @@ def near_fingerprints(fps: DataFrame, radius: int = 3, blocks: int = 6) -> DataF
     tables = [signed(sum(masks[i] for i in kept)) for kept in combinations(range(blocks), blocks - radius)]
     items = fps.select("fp").where("fp is not null").distinct()
     keyed = items.select("fp", F.posexplode(F.array(*(F.col("fp").bitwiseAND(F.lit(m).cast("long")) for m in tables))).alias("t", "k"))
+    if cuts:
+        # A key's items from its least and greatest: one of a single item has no partner.
+        several = cuts.cut(keyed.groupBy("t", "k").agg(F.min("fp").alias("low"), F.max("fp").alias("high")).where("low < high").select("t", "k"), "several")
+        keyed = cuts.cut(keyed.join(several, ["t", "k"]), "keyed")
     x, y = keyed.withColumnRenamed("fp", "a"), keyed.withColumnRenamed("fp", "b")
     far = F.bit_count(F.col("a").bitwiseXOR(F.col("b")))
     return x.join(y, ["t", "k"]).where(F.col("a") < F.col("b")).select("a", "b", far.alias("distance")).where(F.col("distance") <= radius).distinct()
+
+
+def with_links(spark: SparkSession, prints: DataFrame, radius: int = 3) -> DataFrame:
+    """prints(doc_id, fingerprint, ..) with near_links, the number of different other
+    fingerprints within the radius, and near_class, the smallest (as a signed number) that can
+    be reached over such links (its own without any)."""
+    cuts = Cuts(spark)
+    prints = cuts.cut(prints.withColumn("fp", F.conv("fingerprint", 16, -10).cast("long")), "prints")
+    links = cuts.cut(near_fingerprints(prints, radius, cuts=cuts), "links")
+    counted = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("near_links"))
+    linked = cuts.cut(counted.join(components(cuts, links), "id"), "linked")
+    out = prints.join(linked, F.col("fp") == F.col("id"), "left")
+    return out.withColumns({"near_links": F.coalesce("near_links", F.lit(0)), "near_class": hexed(F.coalesce("component", "fp"))}).drop("fp", "id", "component")

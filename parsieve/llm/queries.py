@@ -28,7 +28,8 @@ def op2_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fingerprints.document_fingerprints(spark, table(spark, sf_dir, "documents"))
+    prints = fingerprints.document_fingerprints(spark, table(spark, sf_dir, "documents"))
+    return fingerprints.with_links(spark, prints)
 
 
 def op4_jpeg(spark: SparkSession, sf_dir: str) -> DataFrame:
