@@ -236,8 +236,9 @@ def _unfolded(spark: SparkSession, sf: str) -> DataFrame:
     return lookup.flat(baselines.unfolded(spark, e, kernel.problem(e, Mdl())).mps)
 
 
-def _emb64(spark: SparkSession, sf: str) -> DataFrame:
-    return lookup.flat(find_parent_sets(load(spark, sf, "emb64"), max_parents=1).mps)
+def _emb64(most: int) -> Query:
+    """All 65 columns in two bitmap words, sets of up to `most` of them."""
+    return lambda spark, sf: lookup.flat(find_parent_sets(load(spark, sf, "emb64"), max_parents=most).mps)
 
 
 # --- operators around the search -------------------------------------------------------
@@ -344,7 +345,7 @@ def queries() -> dict[str, Query]:
         "mps_plant12_budget": _mps("plant12", memory_budget=4096), "mps_evt7_unfolded": _unfolded, "mps_evt7_late_fold": _mps("evt7", fold_from=2),
         "mps_geo5_relational": _mps("geo5", backend="relational"), "mps_ord4_relational": _mps("ord4", backend="relational"),
         "mps_plant12_sequential": _single_machine("plant12", "sequential"), "mps_plant12_synchronised": _single_machine("plant12", "synchronised"), "mps_evt7_power_set": _single_machine("evt7", "brute"),
-        "mps_geo5_aic": _mps("geo5", scorer=Aic()), "mps_ord4_bdeu": _mps("ord4", scorer=Bdeu()), "mps_emb64_capped": _emb64,
+        "mps_geo5_aic": _mps("geo5", scorer=Aic()), "mps_ord4_bdeu": _mps("ord4", scorer=Bdeu()), "mps_emb64_capped": _emb64(3), "mps_emb16": _mps("emb16"), "mps_star20": _mps("star20"),
         "summary_plant12": _summary("plant12"), "summary_doc10": _summary("doc10"), "topk_plant12": _topk("plant12"),
         "lookup_best_geo5": _lookup("geo5"), "lookup_best_evt7": _lookup("evt7"), "all_optimal_geo5": _all_optimal("geo5", False), "depth_first_memo_geo5": _all_optimal("geo5", True),
         "layers_plant12": _layers("plant12"), "work_plant12": _work("plant12"), "work_doc10": _work("doc10"),
