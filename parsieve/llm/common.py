@@ -11,7 +11,8 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 import pyarrow.compute
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Text bytes handled at once by a Python kernel; a longer document is a batch of its own.
 SLICE_BYTES = 2_000_000
@@ -67,6 +68,39 @@ class Cuts:
                 p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+class Sieve:
+    """A set of keys as a bit table: a row for each word of 64 bits, at most MOST_WORDS
+    rows however many keys there are, so it can be broadcast at any size of the data. It
+    passes every key that it holds, and some others: 1 in 16 or fewer up to 2^22 keys, more beyond.
+    """
+
+    MOST_WORDS = 1 << 20
+
+    def __init__(self, keys: DataFrame, column: str):
+        n = keys.count()
+        self.words = min(self.MOST_WORDS, 1 << max(0, (n * 16 // 64).bit_length()))
+        word, bit = self._place(F.col(column))
+        marks = keys.where(F.col(column).isNotNull()).select(word.alias("sieve_word"), F.call_function("shiftleft", F.lit(1).cast("long"), bit).alias("bit"))
+        self.table = marks.groupBy("sieve_word").agg(F.bit_or("bit").alias("sieve_bits"))
+
+    def _place(self, key: Column) -> tuple[Column, Column]:
+        h = F.xxhash64(key, F.lit(7))
+        return F.shiftrightunsigned(h, 6).bitwiseAND(F.lit(self.words - 1)), h.bitwiseAND(F.lit(63)).cast("int")
+
+    def marked(self, rows: DataFrame, column: str, flag: str) -> DataFrame:
+        """rows with a boolean `flag`: false only where the key is surely not in the set."""
+        word, bit = self._place(F.col(column))
+        joined = rows.join(F.broadcast(self.table), word == F.col("sieve_word"), "left")
+        inside = F.call_function("shiftrightunsigned", F.col("sieve_bits"), bit).bitwiseAND(F.lit(1).cast("long")) == 1
+        return joined.withColumn(flag, F.coalesce(inside, F.lit(False)) & F.col(column).isNotNull()).drop("sieve_word", "sieve_bits")
+
+    def passed(self, rows: DataFrame, column: str) -> DataFrame:
+        """The rows whose key may be in the set."""
+        word, bit = self._place(F.col(column))
+        joined = rows.join(F.broadcast(self.table), word == F.col("sieve_word"))
+        return joined.where(F.call_function("shiftrightunsigned", F.col("sieve_bits"), bit).bitwiseAND(F.lit(1).cast("long")) == 1).drop("sieve_word", "sieve_bits")
+
+
 def partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 

@@ -2,29 +2,38 @@
 
 A line (trimmed, not empty) is its set of character shingles of length Q, taken over
 UTF-16 units so that any of them is a constant-time slice; a shorter line is one shingle.
-Signatures come from one hash of each shingle: the hash deals a line's shingles over BANDS
-parts, and of each part the least and the greatest in two orders (min-wise values of that
-part) are the bucket. So whole-stage code streams every shingle into one aggregation with
-four values. A part of a pair at 0.8 agrees with probability 0.8^4 or more (fewer extremes
-than four differ in small parts), so it shares no bucket with probability below
-(1 - 0.8^4)^12 < 0.002. Links are confirmed on full shingle sets, components found by star
-contraction, and one line of each component stays: the first position in the document with
-the smallest doc_id that has a line of it.
-
-Lines are told apart by a 64-bit hash of the trimmed text.
+Signatures come from one hash of each shingle. Slot i of SLOTS holds the hash that is
+nearest to i in its upper bits (least exclusive or), which is a min-wise value: two lines
+agree in a slot with about their similarity. Of a long line only hashes close to one of the
+slots can be nearest, about NEAR for each, and only those reach the aggregation. BUCKETS
+sets of four slots are the buckets: a pair at the threshold of 0.8 shares none with
+probability 0.009, at 0.85 with 0.002, at 0.9 with 0.0002. Pairs that agree in fewer than AGREE
+slots go (0.0007 of those at 0.8); links are confirmed on full shingle sets,
+components found by star contraction, and one line of each component stays: the first
+position in the document with the smallest doc_id that has a line of it.
+
+Lines are told apart by a 64-bit hash of the trimmed text; a second one shows where two
+different lines share the first. Such lines (one in ten million at 10^12 lines) are left as
+they are, so no line goes for another's sake.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parsieve.llm.common import Cuts
-from parsieve.llm.linking import link
+from parsieve.llm.common import Cuts, Sieve, partitions
+from parsieve.llm.linking import Items, link
 
 Q = 7
-BANDS = 12
+SLOTS, BUCKETS = 16, 16
+STEPS = (0, 7, 11, 13)  # bucket j has the slots j + step; of all such choices the one that misses least
+NEAR = 3
+AGREE = 8
 PERCENT = 80
+_FREE = 60  # bits of a hash below the slot number
 
 
 def lines_of(docs: DataFrame) -> DataFrame:
@@ -37,39 +46,77 @@ def _units(line: Column) -> Column:
     return F.encode(line, "UTF-16BE")
 
 
-def _shingle(units: Column, at: Column) -> Column:
-    return F.xxhash64(F.substring(units, at, F.lit(2 * Q)))
-
-
 def _places(units: Column) -> Column:
     """1-based byte positions of the shingles; 1 alone for a line of at most Q units."""
     return F.sequence(F.lit(1), F.greatest(F.octet_length(units) - 2 * Q + 1, F.lit(1)), F.lit(2))
 
 
-def band_keys(lines: DataFrame) -> DataFrame:
-    """id (the line's key), bucket for each part that a distinct line has shingles in; n (occurrences) and
-    first_doc on one row of each line, null on the others. Repeated lines of a task are
-    combined before the shuffle; the parts of a line stay where the line is."""
-    distinct = lines.groupBy("key").agg(F.min("line").alias("line"), F.min("doc_id").alias("first_doc"), F.count(F.lit(1)).alias("n"))
-    units = distinct.select("key", "first_doc", "n", _units(F.col("line")).alias("units"))
-    each = units.select("key", "first_doc", "n", "units", F.explode(_places(F.col("units"))).alias("at"))
-    h = each.select("key", "first_doc", "n", "at", _shingle(F.col("units"), F.col("at")).alias("h"))
-    parts = h.select("key", "first_doc", "n", "at", "h", F.xxhash64("h").alias("g"), F.pmod("h", F.lit(BANDS)).alias("band"))
-    ends = parts.groupBy("key", "band").agg(
-        *(f(c).alias(f"{name}_{c}") for c in ("h", "g") for name, f in (("lo", F.min), ("hi", F.max))),
-        F.min("at").alias("at"),
-        F.first("first_doc").alias("first_doc"),
-        F.first("n").alias("n"),
-    )
-    lead = F.col("at") == 1
-    return ends.select(F.col("key").alias("id"), F.xxhash64("band", "lo_h", "hi_h", "lo_g", "hi_g").alias("bucket"), F.when(lead, F.col("n")).alias("n"), F.when(lead, F.col("first_doc")).alias("first_doc"))
-
-
-def line_sets(lines: DataFrame) -> DataFrame:
-    """id, n, elems: the full shingle set of each given line."""
-    units = lines.select("key", _units(F.col("line")).alias("units"))
-    elems = F.array_distinct(F.transform(_places(F.col("units")), lambda at: _shingle(F.col("units"), at)))
-    return units.select(F.col("key").alias("id"), elems.alias("elems")).select("id", F.size("elems").cast("long").alias("n"), "elems")
+def _shingle(units: Column, at: Column) -> Column:
+    return F.xxhash64(F.substring(units, at, F.lit(2 * Q)))
+
+
+def signed_lines(lines: DataFrame) -> DataFrame:
+    """key, first_doc, n (occurrences), buckets array: a row for each different line.
+
+    Repeated lines of a task are combined before the shuffle; all else stays in place, as
+    the shingles of a line are where the line is."""
+    other = F.xxhash64(F.lit(1), "line")
+    each = lines.select("key", "line", "doc_id", other.alias("other"))
+    same = each.groupBy("key").agg(F.min("line").alias("line"), F.min("doc_id").alias("first_doc"), F.count(F.lit(1)).alias("n"), F.min("other").alias("low"), F.max("other").alias("high"))
+    # How often the line's first shingle comes again tells a ruled or periodic line, of which
+    # few shingles differ, from a line of prose.
+    again = F.greatest((F.length("line") - F.length(F.replace("line", F.left("line", F.lit(Q)), F.lit("")))) / Q, F.lit(1.0))
+    units = same.where("low = high").select("key", "first_doc", "n", again.alias("again"), _units(F.col("line")).alias("units"))
+    # A hash is close enough if its free bits are below this: NEAR a slot on average, all of a short line.
+    places = F.greatest(F.octet_length("units") / 2 - Q + 1, F.lit(1.0))
+    reach = (F.lit(2.0**_FREE) * F.least(F.lit(float(NEAR * SLOTS)) * F.col("again") / places, F.lit(1.0))).cast("long")
+    placed = units.select("key", "first_doc", "n", "units", reach.alias("reach"), F.explode(_places(F.col("units"))).alias("at"))
+    hashed = placed.select("key", "first_doc", "n", "reach", "at", _shingle(F.col("units"), F.col("at")).alias("h"))
+    close = hashed.where((F.col("h").bitwiseAND(F.lit((1 << _FREE) - 1)) < F.col("reach")) | (F.col("at") == 1))  # one at least
+    number = lambda i: F.lit((i << _FREE) - (1 << 64 if i >= SLOTS // 2 else 0)).cast("long")
+    nearest = close.groupBy("key").agg(F.min("first_doc").alias("first_doc"), F.min("n").alias("n"), *(F.min(F.col("h").bitwiseXOR(number(i))).alias(f"slot{i}") for i in range(SLOTS)))
+    bucket = lambda j: F.xxhash64(F.lit(j), *(f"slot{(j + step) % SLOTS}" for step in STEPS))
+    byte = lambda i: F.shiftleft(F.col(f"slot{i}").bitwiseAND(F.lit(255)), 8 * (i % 8))
+    sketch = [reduce(Column.bitwiseOR, (byte(i) for i in range(8 * w, 8 * w + 8))).alias(f"sketch{w}") for w in range(SLOTS // 8)]
+    return nearest.select("key", "first_doc", "n", *sketch, F.array(*map(bucket, range(BUCKETS))).alias("buckets"))
+
+
+def _differing(a: str, b: str) -> Column:
+    """The number of different bytes of two longs."""
+    x = F.col(a).bitwiseXOR(F.col(b))
+    for k in (4, 2, 1):
+        x = x.bitwiseOR(F.shiftrightunsigned(x, k))
+    return F.bit_count(x.bitwiseAND(F.lit(0x0101010101010101)))
+
+
+class _Lines(Items):
+    def __init__(self, spark: SparkSession, lines: DataFrame, signed: DataFrame):
+        self.spark, self.lines, self.signed = spark, lines, signed
+
+    def content_of(self, ids: DataFrame) -> DataFrame:
+        wanted = Sieve(ids, "id").passed(self.lines, "key").groupBy("key").agg(F.min("line").alias("content"))
+        return wanted.join(ids.hint("merge"), wanted["key"] == ids["id"]).select("id", "content")
+
+    def linked(self, cuts: Cuts, pairs: DataFrame, content: DataFrame, percent: int) -> DataFrame:
+        """Sketches first; then all shingles of both lines meet in one aggregation, which
+        whole-stage code streams, where the pair is."""
+        words = range(SLOTS // 8)
+        sketch = lambda x: self.signed.select(F.col("key").alias(x), *(F.col(f"sketch{w}").alias(f"{x}{w}") for w in words)).hint("merge")
+        both = pairs.join(sketch("a"), "a").join(sketch("b"), "b")
+        near = cuts.cut(both.where(sum(_differing(f"a{w}", f"b{w}") for w in words) <= SLOTS - AGREE).select("a", "b"), "near")
+        text = lambda x: content.select(F.col("id").alias(x), _units(F.col("content")).alias(f"units_{x}")).hint("merge")
+        met = near.join(text("a"), "a").join(text("b"), "b").repartition(4 * partitions(self.spark), "a", "b")
+        sides = F.explode(F.array(F.struct(F.lit(1).alias("side"), F.col("units_a").alias("units")), F.struct(F.lit(2).alias("side"), F.col("units_b").alias("units"))))
+        each = met.select("a", "b", sides.alias("x")).select("a", "b", "x.side", "x.units")
+        each = each.select("a", "b", "side", "units", F.explode(_places(F.col("units"))).alias("at"))
+        elements = each.select("a", "b", "side", _shingle(F.col("units"), F.col("at")).alias("h")).groupBy("a", "b", "h").agg(F.bit_or("side").alias("side"))
+        sums = elements.groupBy("a", "b").agg(F.count(F.lit(1)).alias("either"), F.sum((F.col("side") == 3).cast("long")).alias("both"))
+        return sums.where(100 * F.col("both") >= percent * F.col("either")).select("a", "b")
+
+    def elements(self, rows: DataFrame) -> DataFrame:
+        units = rows.select("id", "component", _units(F.col("content")).alias("units")).repartition(4 * partitions(self.spark), "id")
+        each = units.select("id", "component", "units", F.explode(_places(F.col("units"))).alias("at"))
+        return each.select("id", "component", _shingle(F.col("units"), F.col("at")).alias("e")).dropDuplicates(["id", "component", "e"])
 
 
 def repeated_lines(spark: SparkSession, docs: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -80,51 +127,57 @@ def repeated_lines(spark: SparkSession, docs: DataFrame, percent: int = PERCENT)
     """
     cuts = Cuts(spark)
     lines = lines_of(docs.select("doc_id", "text").where("doc_id is not null"))
-    signed = cuts.cut(band_keys(lines), "signed")
-    each = cuts.cut(signed.where("n is not null").select(F.col("id").alias("key"), "n", "first_doc"), "each")
-    firsts = each.select("key", F.col("first_doc").alias("doc_id"))
-
-    def sets_of(ids: DataFrame) -> DataFrame:
-        wanted = firsts.join(ids, firsts["key"] == ids["id"], "left_semi")
-        return line_sets(lines.join(wanted, ["doc_id", "key"], "left_semi").dropDuplicates(["key"]))
-
-    found = link(cuts, signed, sets_of, percent)
-    counted = each.join(found.withColumnRenamed("id", "key"), "key", "left")
+    signed = cuts.cut(signed_lines(lines), "signed")
+    found = link(cuts, signed.select(F.col("key").alias("id"), F.explode("buckets").alias("bucket")), _Lines(spark, lines, signed), percent)
+    counted = signed.select("key", "n", "first_doc").join(found.withColumnRenamed("id", "key").hint("merge"), "key", "left")
     several = cuts.cut(counted.where("n > 1 or component is not null").select("key", "first_doc", F.coalesce("component", "key").alias("component")), "several")
+    cuts.drop(signed)
     homes = several.groupBy("component").agg(F.min("first_doc").alias("home"))
-    homes = cuts.cut(several.select("key", "component").join(homes, "component"), "homes")
-    at = cuts.cut(lines.select("doc_id", "pos", "key").join(homes, "key").drop("key"), "at")
+    homes = cuts.cut(several.select("key", "component").join(homes.hint("merge"), "component"), "homes")
+    cuts.drop(several)
+    found_again = Sieve(homes, "key").passed(lines.select("doc_id", "pos", "key"), "key")
+    at = cuts.cut(found_again.join(homes.hint("merge"), "key").drop("key"), "at")
+    cuts.drop(homes)
     kept = at.where("doc_id = home").groupBy("component").agg(F.min("pos").alias("kept_pos"))
     kept = cuts.cut(kept, "kept")
-    return at.join(kept, "component").where("doc_id <> home or pos <> kept_pos").select("doc_id", "pos", "component")
+    return at.join(kept.hint("merge"), "component").where("doc_id <> home or pos <> kept_pos").select("doc_id", "pos", "component")
 
 
-def _rebuilt(docs: DataFrame, gone: DataFrame) -> DataFrame:
-    """docs with `dropped`, the set of their line positions to leave out (null: none)."""
-    by_doc = gone.groupBy(F.col("doc_id").alias("gone_doc")).agg(F.collect_set("pos").alias("dropped"))
-    return docs.join(by_doc, docs["doc_id"] == by_doc["gone_doc"], "left").drop("gone_doc")
+def _rebuilt(spark: SparkSession, docs: DataFrame) -> DataFrame:
+    """docs with `line_dedup_gone`, the set of their line positions to leave out (null: none).
+    Only rows that may have one are shuffled."""
+    cuts = Cuts(spark)
+    by_doc = repeated_lines(spark, docs).groupBy(F.col("doc_id").alias("line_dedup_doc")).agg(F.collect_set("pos").alias("line_dedup_gone"))
+    by_doc = cuts.cut(by_doc, "by-doc")
+    marked = Sieve(by_doc, "line_dedup_doc").marked(docs, "doc_id", "line_dedup_hit")
+    hit = marked.where("line_dedup_hit").drop("line_dedup_hit")
+    hit = hit.join(by_doc.hint("merge"), hit["doc_id"] == by_doc["line_dedup_doc"], "left").drop("line_dedup_doc")
+    rest = marked.where("not line_dedup_hit").drop("line_dedup_hit").withColumn("line_dedup_gone", F.lit(None).cast("array<int>"))
+    return hit.unionByName(rest)
 
 
-def _kept_text(text: Column, dropped: Column) -> Column:
+def _kept_text(text: Column, gone: Column) -> Column:
     """Kept lines as they stood, in order."""
-    numbered = F.arrays_zip(F.split(text, "\n", -1).alias("line"), F.sequence(F.lit(0), F.size(F.split(text, "\n", -1)) - 1).alias("i"))
-    stay = F.filter(numbered, lambda x: ~F.array_contains(dropped, x["i"]))
-    return F.when(dropped.isNull(), text).otherwise(F.array_join(F.transform(stay, lambda x: x["line"]), "\n"))
+    lines = F.split(text, "\n", -1)
+    stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), gone)
+    return F.when(gone.isNull(), text).otherwise(F.array_join(F.transform(stay, lambda i: F.element_at(lines, i + 1)), "\n"))
 
 
 def deduped(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, n_lines, n_dropped, text without the dropped lines; a row per input row."""
-    docs = docs.select("doc_id", "text")
-    joined = _rebuilt(docs, repeated_lines(spark, docs))
+    joined = _rebuilt(spark, docs.select("doc_id", "text"))
+    gone = F.col("line_dedup_gone")
     n = F.when(F.length("text") > 0, F.size(F.split("text", "\n", -1))).otherwise(0)
-    return joined.select("doc_id", n.cast("long").alias("n_lines"), F.when(F.col("dropped").isNull(), 0).otherwise(F.size("dropped")).cast("long").alias("n_dropped"), _kept_text(F.col("text"), F.col("dropped")).alias("text"))
+    return joined.select("doc_id", n.cast("long").alias("n_lines"), F.when(gone.isNull(), 0).otherwise(F.size(gone)).cast("long").alias("n_dropped"), _kept_text(F.col("text"), gone).alias("text"))
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """Pipeline stage: texts without repeated lines. A document that keeps no line with text
-    goes, one without text stays as it is; n_chars follows the text."""
-    joined = _rebuilt(docs.drop("dropped"), repeated_lines(spark, docs)).withColumn("text", _kept_text(F.col("text"), F.col("dropped")))
-    joined = joined.where(F.col("dropped").isNull() | F.col("text").rlike(r"\S"))
+    goes, one without text stays as it is; n_chars follows the text. Columns named
+    line_dedup_* are this stage's own; all other names are the user's."""
+    joined = _rebuilt(spark, docs)
+    joined = joined.withColumn("text", _kept_text(F.col("text"), F.col("line_dedup_gone")))
+    joined = joined.where(F.col("line_dedup_gone").isNull() | F.col("text").rlike(r"\S"))
     if "n_chars" in docs.columns:
         joined = joined.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return joined.select(docs.columns)

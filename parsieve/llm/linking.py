@@ -3,25 +3,24 @@
 Items share buckets; two items of a bucket are a candidate pair; a pair is linked if the
 Jaccard similarity of their full element sets reaches a threshold; the result is the
 components of the links. Pairs inside one component need no look, so not all of a bucket
-is paired up: each bucket's best connected item (its hub) is compared with the others,
-and the links found give components. Items whose buckets still hold several components
+is paired up: each bucket's smallest item (its hub) is compared with the others, and the
+links found give components. Items whose buckets still hold several components
 then meet by prefixes: with all elements in one order, rarest first, a pair can only be
 linked if it shares one of the first few of either set, and the places of the first
 shared one bound the intersection. What is left out can change no component: all linked
 candidate pairs count, and so do linked pairs that meet by prefixes without a bucket.
 
 Joins on a key that may be hot read a written side, so that adaptive execution can
-split the hot partition, and every aggregation is combined before its shuffle.
+split the hot partition, and every aggregation is combined before its shuffle. Joins that
+move sets or texts are sort-merge joins at every size, so they spill and never fill memory.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from parsieve.llm.common import Cuts
+from parsieve.llm.common import Cuts, Sieve
 
 
 def _stars(e: DataFrame) -> bool:
@@ -50,17 +49,21 @@ def components(cuts: Cuts, edges: DataFrame) -> DataFrame:
     return e.select(F.col("u").alias("id"), F.col("v").alias("component")).union(e.select("v", "v").distinct())
 
 
-def _verified(cuts: Cuts, pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Those of pairs(a, b) that reach the threshold. Elements move only for pairs whose
-    sizes allow it: a union has the larger set's size at least."""
-    size = sets.select("id", "n")
-    near = pairs.join(size.select(F.col("id").alias("a"), F.col("n").alias("na")), "a").join(size.select(F.col("id").alias("b"), F.col("n").alias("nb")), "b")
-    near = cuts.cut(near.where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")), "near")
-    one = sets.select(F.col("id").alias("a"), F.col("elems").alias("ea"))
-    two = sets.select(F.col("id").alias("b"), F.col("elems").alias("eb"))
-    common = F.size(F.array_intersect("ea", "eb")).cast("long")
-    met = near.join(one, "a").join(two, "b").select("a", "b", "na", "nb", common.alias("c"))
-    return met.where(_enough(F.col("c"), percent)).select("a", "b")
+class Items:
+    """What `link` must know of the items. Items are linked if 100 * |A and B| >= percent * |A or B|."""
+
+    def content_of(self, ids: DataFrame) -> DataFrame:
+        """(id, content) of the items in ids(id)."""
+        raise NotImplementedError
+
+    def linked(self, cuts: Cuts, pairs: DataFrame, content: DataFrame, percent: int) -> DataFrame:
+        """Those of pairs(a, b) that reach the threshold on their full sets."""
+        raise NotImplementedError
+
+    def elements(self, rows: DataFrame) -> DataFrame:
+        """(id, component, e) for each different element of rows(id, component, content),
+        those of an item in one task."""
+        raise NotImplementedError
 
 
 def _enough(common: Column, percent: int) -> Column:
@@ -68,65 +71,65 @@ def _enough(common: Column, percent: int) -> Column:
     return 100 * common >= percent * (F.col("na") + F.col("nb") - common)
 
 
-def _prefix_pairs(cuts: Cuts, items: DataFrame, percent: int) -> DataFrame:
+def _across(each: DataFrame) -> DataFrame:
+    """(e, c): elements of several components with the number of their items."""
+    found = each.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("component").alias("low"), F.max("component").alias("high"))
+    return found.where("low < high").select("e", "c")
+
+
+def _prefix_pairs(cuts: Cuts, items: Items, rows: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) of different components that may be linked, a superset of those that
-    are, from items(id, component, n, elems).
+    are, from rows(id, component, content).
 
     Elements found in one component only are in no intersection that counts; in the order
     they come first. A set of n elements shares at least ceil(percent * n / 100) with a
     partner, so one of its first n + 1 less that many is shared. From the first shared
     one on, the intersection is no larger than what follows in either set.
     """
-    each = items.select("id", "component", "n", F.explode("elems").alias("e"))
-    across = each.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
-    across = cuts.cut(across.select("e", "c"), "across")
-    useful = each.join(across, "e").groupBy("id").agg(F.first("component").alias("component"), F.first("n").alias("n"), F.sort_array(F.collect_list(F.struct("c", "e"))).alias("useful"))
+    across = cuts.cut(_across(items.elements(rows)), "across")
+    met = items.elements(rows).join(across.hint("merge"), "e", "left").groupBy("id")
+    useful = met.agg(F.first("component").alias("component"), F.count(F.lit(1)).alias("n"), F.sort_array(F.collect_list(F.when(F.col("c").isNotNull(), F.struct("c", "e")))).alias("useful"))
     n, size = F.col("n"), F.size("useful")
     length = n + 1 - F.ceil(n * percent / 100) - (n - size)
     prefix = F.slice("useful", F.lit(1), F.greatest(length, F.lit(0)).cast("int"))
-    rows = useful.select("id", "component", "n", size.alias("size"), F.posexplode(prefix).alias("i", "x"))
-    rows = cuts.cut(rows.select("id", "component", "n", F.col("x.e").alias("e"), (F.col("size") - F.col("i")).alias("after")), "prefixes")
-    cuts.drop(across)
-    x = rows.select("e", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("n").alias("na"), F.col("after").alias("fa"))
-    y = rows.select("e", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("n").alias("nb"), F.col("after").alias("fb"))
-    pairs = x.join(y, "e").where((F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & _enough(F.least("fa", "fb"), percent))
+    cut = cuts.cut(useful.select("id", "component", "n", size.alias("size"), prefix.alias("prefix")), "prefixes")
+    each = cut.select("id", "component", "n", "size", F.posexplode("prefix").alias("i", "x"))
+    each = each.select("id", "component", "n", F.col("x.e").alias("e"), (F.col("size") - F.col("i")).alias("after"))
+    x = each.select("e", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("n").alias("na"), F.col("after").alias("fa"))
+    y = each.select("e", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("n").alias("nb"), F.col("after").alias("fb"))
+    pairs = x.join(y.hint("merge"), "e").where((F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & _enough(F.least("fa", "fb"), percent))
     pairs = cuts.cut(pairs.select("a", "b").distinct(), "pairs")
-    cuts.drop(rows)
+    cuts.drop(cut, across)
     return pairs
 
 
-def link(cuts: Cuts, keys: DataFrame, sets_of: Callable[[DataFrame], DataFrame], percent: int) -> DataFrame:
-    """(id, component) of every item with a link, from keys(id, bucket).
-
-    `sets_of(ids)` gives (id, n, elems array<bigint> of distinct elements) of the items
-    asked for; the table of keys is dropped when it is used up. Items are linked if 100 * |A and B| >= percent * |A or B|.
-    """
-    sizes = cuts.cut(keys.groupBy("bucket").agg(F.count(F.lit(1)).alias("members")).where("members > 1"), "sizes")
-    multi = cuts.cut(keys.select("id", "bucket").join(sizes, "bucket"), "multi")
-    cuts.drop(sizes, keys)
-    degree = multi.groupBy("id").agg(F.sum(F.col("members") - 1).alias("degree"))
-    members = cuts.cut(multi.join(degree, "id").select("bucket", "id", "degree"), "members")
-    cuts.drop(multi)
-    hubs = cuts.cut(members.groupBy("bucket").agg(F.max_by("id", F.struct("degree", "id")).alias("hub")), "hubs")
-    at_hub = cuts.cut(members.join(hubs, "bucket").select("bucket", "id", "hub"), "at-hub")
-    cuts.drop(members, hubs)
-    sets = cuts.cut(sets_of(at_hub.select("id").distinct()), "sets")
-    spokes = at_hub.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
-    star = cuts.cut(_verified(cuts, spokes, sets, percent), "star")
+def link(cuts: Cuts, keys: DataFrame, items: Items, percent: int) -> DataFrame:
+    """(id, component) of every item with a link, from keys(id, bucket), a view of a
+    written table."""
+    shared = keys.groupBy("bucket").agg(F.min("id").alias("hub"), F.max("id").alias("last")).where("hub < last")
+    shared = cuts.cut(shared.select("bucket", "hub"), "shared")
+    # Rows of buckets with one member end here, before they are shuffled.
+    members = Sieve(shared, "bucket").passed(keys, "bucket").join(shared.hint("merge"), "bucket")
+    members = cuts.cut(members.select("bucket", "id", "hub"), "members")
+    cuts.drop(shared)
+    ids = cuts.cut(members.select("id").distinct(), "ids")
+    content = cuts.cut(items.content_of(ids), "content")
+    cuts.drop(ids)
+    spokes = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
+    star = cuts.cut(items.linked(cuts, spokes, content, percent), "star")
     first = cuts.cut(components(cuts, star), "first")
     cuts.drop(star)
     # What is left: buckets that still hold several components. The hub itself has met
     # everyone; with no more than one other component nothing is left.
-    placed = at_hub.where("id <> hub").join(first, "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
+    placed = members.where("id <> hub").join(first.hint("merge"), "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
     placed = cuts.cut(placed, "placed")
     mixed = placed.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
     mixed = cuts.cut(mixed.select("bucket"), "mixed")
-    rest = placed.join(mixed, "bucket").select("id", "component").distinct()
-    rest = cuts.cut(rest.join(sets, "id"), "rest")
-    cuts.drop(at_hub, placed, mixed)
-    pairs = _prefix_pairs(cuts, rest, percent)
-    cuts.drop(sets)
-    more = cuts.cut(_verified(cuts, pairs, rest, percent), "more")
+    rest = placed.join(mixed.hint("merge"), "bucket").select("id", "component").distinct()
+    rest = cuts.cut(rest.join(content.hint("merge"), "id"), "rest")
+    cuts.drop(members, placed, mixed, content)
+    pairs = _prefix_pairs(cuts, items, rest, percent)
+    more = cuts.cut(items.linked(cuts, pairs, rest.drop("component"), percent), "more")
     cuts.drop(rest, pairs)
     if more.isEmpty():
         return first

@@ -21,8 +21,8 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parsieve.llm.common import Cuts, slices
-from parsieve.llm.linking import link
+from parsieve.llm.common import Cuts, Sieve, slices
+from parsieve.llm.linking import Items, link
 
 SHINGLE = 5
 BANDS, ROWS = 24, 5
@@ -113,7 +113,7 @@ def signatures(docs: DataFrame) -> DataFrame:
 
 
 def shingle_sets(docs: DataFrame) -> DataFrame:
-    """id, n, elems of each row's full shingle set."""
+    """id, n, content (the elements) of each row's full shingle set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler()
@@ -121,9 +121,32 @@ def shingle_sets(docs: DataFrame) -> DataFrame:
             sets = shingler.sets(b.column("text").to_pylist())
             offsets = np.cumsum([0, *map(len, sets)]).astype(np.int32)
             elems = pa.ListArray.from_arrays(offsets, np.concatenate([np.zeros(0, np.uint64), *sets]).view(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(np.diff(offsets).astype(np.int64)), elems], names=["id", "n", "elems"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(np.diff(offsets).astype(np.int64)), elems], names=["id", "n", "content"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "id long, n long, elems array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, "id long, n long, content array<long>")
+
+
+class _Documents(Items):
+    """Documents by their shingle sets, which move only for pairs whose sizes allow a
+    link: a union has the larger set's size at least."""
+
+    def __init__(self, docs: DataFrame):
+        self.text = docs.select("doc_id", "text")
+
+    def content_of(self, ids: DataFrame) -> DataFrame:
+        near = Sieve(ids, "id").passed(self.text, "doc_id")
+        return shingle_sets(near.join(ids.hint("merge"), near["doc_id"] == ids["id"], "left_semi")).dropDuplicates(["id"])
+
+    def linked(self, cuts: Cuts, pairs: DataFrame, content: DataFrame, percent: int) -> DataFrame:
+        size = lambda x: content.select(F.col("id").alias(x), F.col("n").alias(f"n{x}")).hint("merge")
+        near = pairs.join(size("a"), "a").join(size("b"), "b").where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+        sets = lambda x: content.select(F.col("id").alias(x), F.col("content").alias(f"e{x}")).hint("merge")
+        met = cuts.cut(near, "near").join(sets("a"), "a").join(sets("b"), "b")
+        met = met.select("a", "b", "na", "nb", F.size(F.array_intersect("ea", "eb")).cast("long").alias("both"))
+        return met.where(100 * F.col("both") >= percent * (F.col("na") + F.col("nb") - F.col("both"))).select("a", "b")
+
+    def elements(self, rows: DataFrame) -> DataFrame:
+        return rows.select("id", "component", F.explode("content").alias("e"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -139,13 +162,14 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, percent: int = PERCENT
     same = signed.where("hi is not null and doc_id is not null")
     classes = cuts.cut(same.groupBy("hi", "lo", "n_shingles").agg(F.min("doc_id").alias("id")), "classes")
     # The buckets of a class are those of any member: of its first document.
-    items = same.join(classes.select("id", "hi", "lo"), [F.col("doc_id") == classes["id"], same["hi"] == classes["hi"], same["lo"] == classes["lo"]])
-    keys = cuts.cut(items.select("id", F.explode("buckets").alias("bucket")).distinct(), "keys")
-    text = docs.select("doc_id", "text")
-    found = link(cuts, keys, lambda ids: shingle_sets(text.join(ids, text["doc_id"] == ids["id"], "left_semi")).dropDuplicates(["id"]), percent)
-    linked = classes.join(found, "id", "left").select("hi", "lo", "n_shingles", F.coalesce("component", "id").alias("component_id"))
+    first = Sieve(classes, "id").passed(signed, "doc_id")
+    items = first.join(classes.select("id", "hi", "lo").hint("merge"), [F.col("doc_id") == classes["id"], first["hi"] == classes["hi"], first["lo"] == classes["lo"]])
+    items = cuts.cut(items.select("id", "buckets").dropDuplicates(["id"]), "items")
+    found = link(cuts, items.select("id", F.explode("buckets").alias("bucket")), _Documents(docs), percent)
+    linked = classes.join(found.hint("merge"), "id", "left").select("hi", "lo", "n_shingles", F.coalesce("component", "id").alias("component_id"))
     linked = cuts.cut(linked, "linked")
-    out = signed.select("doc_id", "n_shingles", "hi", "lo").join(linked, ["hi", "lo", "n_shingles"], "left")
+    cuts.drop(items, classes)
+    out = signed.select("doc_id", "n_shingles", "hi", "lo").join(linked.hint("merge"), ["hi", "lo", "n_shingles"], "left")
     component = F.coalesce("component_id", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
@@ -153,5 +177,9 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, percent: int = PERCENT
 def keep_one(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """Pipeline stage: of each group of near duplicates, the row with the smallest doc_id.
     A pair at 0.8 shares no bucket with probability (1 - 0.8^5)^24 < 1e-4."""
-    gone = near_duplicates(spark, docs, STAGE_PERCENT).where("not kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    gone = near_duplicates(spark, docs, STAGE_PERCENT).where("not kept").select(F.col("doc_id").alias("near_dedup_gone")).distinct()
+    gone = Cuts(spark).cut(gone, "gone")
+    marked = Sieve(gone, "near_dedup_gone").marked(docs, "doc_id", "near_dedup_hit")
+    hit = marked.where("near_dedup_hit")
+    left = hit.join(gone.hint("merge"), hit["doc_id"] == gone["near_dedup_gone"], "left_anti")
+    return left.unionByName(marked.where("not near_dedup_hit")).select(docs.columns)
