@@ -8,6 +8,8 @@ attempts go up until replacements are distinct and none is itself an entity, so
 entities stay equal and different ones different across the corpus. What still clashes after
 ATTEMPTS, or has nothing to replace, leaves the exact format: it gets a keyed token
 besides, which grows with every further attempt, so no corpus runs out of replacements.
+A person is a title, given names and a family name, of which the names are entities of
+their own: "Mr John Smith" and "Mr Smith" get one family name, as do two titles of it.
 """
 
 from __future__ import annotations
@@ -29,10 +31,12 @@ NAMES = {
     ("cyrillic", "s"): "Абрамов Белов Волков Громов Дроздов Ершов Жуков Зимин Котов Лебедев".split(),
 }
 _TITLES = "|".join(MALE_TITLES + FEMALE_TITLES)
-_NAME = r"\p{Lu}\p{Ll}+(?:[ -]\p{Lu}\p{Ll}+)?"
+_WORD = r"\p{Lu}\p{Ll}+(?:[-’']\p{Lu}\p{Ll}+)*"
+_NAME = rf"{_WORD}(?: {_WORD}){{0,2}}"
 EMAIL = r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@[\p{L}\p{N}-]++(?:\.[\p{L}\p{N}-]++)+"
 PHONE = r"(?<![\p{L}\p{N}+])\+?\d{1,3}[ .-]?\(?\d{2,4}\)?[ .-]\d{3,4}[ .-]\d{3,4}(?![\p{L}\p{N}])"
-ADDRESS = r"(?<![\p{L}\p{N}.])\d{1,3}(?:\.\d{1,3}){3}(?![\p{L}\p{N}])"
+_OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
+ADDRESS = rf"(?<![\p{{L}}\p{{N}}.]){_OCTET}(?:\.{_OCTET}){{3}}(?!\.?[\p{{L}}\p{{N}}])"
 CARD = r"(?<![\p{L}\p{N}])(?:\d{13,19}|\d{4}(?:[ -]\d{4}){3})(?![\p{L}\p{N}])"
 NUMBER = r"(?<![\p{L}\p{N}-])\d{3}-\d{2}-\d{4}(?![\p{L}\p{N}-])"
 PERSON = rf"(?<![\p{{L}}\p{{N}}])(?:{_TITLES})\.? {_NAME}"
@@ -102,19 +106,17 @@ def surrogate(entity: Column, kind: Column, key: str, attempt: Column) -> Column
     card = _filled(entity, seed)
     off = F.when(_luhn(_digits(entity)) == 0, _luhn(_digits(card))).otherwise(0)
     card = F.concat(F.expr("left(entity, 0)"), F.regexp_replace(card, r".$", ""), ((F.right(card, F.lit(1)).cast("int") + 10 - off) % 10).cast("string"))
-    title = F.regexp_extract(entity, rf"^((?:{_TITLES})\.? )", 1)
-    named = F.regexp_replace(entity, rf"^(?:{_TITLES})\.? ", "")
-    female = title.rlike(f"^(?:{'|'.join(FEMALE_TITLES)})\\b")
 
-    def person(script: str) -> Column:
-        given = F.when(female, _picked(NAMES[script, "f"], seed, "given")).otherwise(_picked(NAMES[script, "m"], seed, "given"))
-        family = [_picked(NAMES[script, "s"], F.concat(seed, F.lit(str(i))), "family") for i in range(4)]
-        more = [F.when(attempt > 2 * i, F.concat(F.lit("-"), family[i])).otherwise("") for i in range(1, 4)]
-        last = F.concat(family[0], *more)
-        return F.when(named.rlike("[ -]"), F.concat(title, given, F.regexp_extract(named, "[ -]", 0), last)).otherwise(F.concat(title, last))
+    def name(part: str) -> Column:
+        """A name of the list, later ones of two to four by hyphens."""
+        def of(script: str) -> Column:
+            each = [_picked(NAMES[script, part], F.concat(seed, F.lit(str(i))), "name") for i in range(4)]
+            return F.concat(each[0], *(F.when(attempt > 2 * (i - 1), F.concat(F.lit("-"), each[i])).otherwise("") for i in range(1, 4)))
 
-    names = F.when(named.rlike(r"\p{IsCyrillic}"), person("cyrillic")).otherwise(person("latin"))
-    return F.when(kind == "email", email).when(kind == "address", address).when(kind == "card", card).when(kind == "person", names).otherwise(_filled(entity, seed))
+        return F.when(entity.rlike(r"\p{IsCyrillic}"), of("cyrillic")).otherwise(of("latin"))
+
+    plain = F.when(kind == "email", email).when(kind == "address", address).when(kind == "card", card)
+    return plain.when(kind == "family", name("s")).when(kind == "given_f", name("f")).when(kind == "given_m", name("m")).otherwise(_filled(entity, seed))
 
 
 def _fixed(entity: Column, kind: Column) -> Column:
@@ -131,8 +133,8 @@ def _longer(entity: Column, kind: Column, plain: Column, key: str, attempt: Colu
     latin, cyrillic = spelt("abcdefghijklmnop"), spelt("абвгдежзиклмнопр")
     at = F.instr(plain, "@")
     email = F.concat(F.substring(plain, F.lit(1), at - 1), latin, F.substring(plain, at, F.length(plain)))
-    person = F.concat(plain, F.when(plain.rlike(r"\p{IsCyrillic}$"), cyrillic).otherwise(latin))
-    return F.when(kind == "email", email).when(kind == "person", person).otherwise(F.concat(plain, F.lit("-"), spelt("0123456789012345")))
+    name = F.concat(plain, F.when(plain.rlike(r"\p{IsCyrillic}$"), cyrillic).otherwise(latin))
+    return F.when(kind == "email", email).when(kind.isin("family", "given_f", "given_m"), name).otherwise(F.concat(plain, F.lit("-"), spelt("0123456789012345")))
 
 
 def _tried(rows: DataFrame, key: str) -> DataFrame:
@@ -144,41 +146,65 @@ def _tried(rows: DataFrame, key: str) -> DataFrame:
     return plain.select("entity", "kind", "attempt", chosen.alias("surrogate"))
 
 
+def _parts(persons: DataFrame) -> DataFrame:
+    """entity, title, given ('' if there is none), family, given_kind of persons(entity)."""
+    entity = F.col("entity")
+    title = F.regexp_extract(entity, rf"^((?:{_TITLES})\.? )", 1)
+    named = F.regexp_replace(entity, rf"^(?:{_TITLES})\.? ", "")
+    female = title.rlike(f"^(?:{'|'.join(FEMALE_TITLES)})\\b")
+    return persons.select("entity", title.alias("title"), F.regexp_extract(named, "^(.*) ", 1).alias("given"), F.regexp_extract(named, "([^ ]+)$", 1).alias("family"), F.when(female, "given_f").otherwise("given_m").alias("given_kind"))
+
+
 def surrogates(spark: SparkSession, entities: DataFrame, key: str) -> DataFrame:
     """(entity, kind, surrogate), distinct and disjoint from the entities, from a table
     of distinct entities. Of those that meet the smallest keeps its attempt. After
     ATTEMPTS rounds each further one draws from a space 256 times (digits: 100 times) the last."""
     cuts = Cuts(spark)
-    real = cuts.cut(entities.select("entity", kind_of(F.col("entity")).alias("kind"), F.lit(0).alias("attempt")), "entities")
+    kinds = cuts.cut(entities.select("entity", kind_of(F.col("entity")).alias("kind")), "kinds")
+    persons = _parts(kinds.where("kind = 'person'"))
+    names = persons.select(F.explode(F.array(F.struct(F.col("family").alias("entity"), F.lit("family").alias("kind")), F.struct(F.col("given").alias("entity"), F.col("given_kind").alias("kind")))).alias("n")).select("n.*")
+    real = kinds.where("kind <> 'person'").union(names.where("entity <> ''").distinct()).withColumn("attempt", F.lit(0))
+    real = cuts.cut(real, "entities")
     now = cuts.cut(_tried(real, key), "surrogates")
     while True:
-        many = now.groupBy("surrogate").agg(F.count(F.lit(1)).alias("c"), F.min("entity").alias("keeper"))
-        taken = real.select(F.col("entity").alias("surrogate"), F.lit(True).alias("real"))
+        who = F.concat_ws("\x00", "entity", "kind")
+        many = now.groupBy("surrogate").agg(F.count(F.lit(1)).alias("c"), F.min(who).alias("keeper"))
+        taken = real.select(F.col("entity").alias("surrogate"), F.lit(True).alias("real")).distinct()
         clash = cuts.cut(many.join(taken, "surrogate", "left").where("c > 1 or real").select("surrogate", "keeper", "real"), "clash")
         if clash.isEmpty():
-            return now.select("entity", "kind", "surrogate")
+            break
         moved = now.join(clash, "surrogate", "left")
-        again = F.coalesce(F.col("real"), F.col("keeper") != F.col("entity"), F.lit(False))
+        again = F.coalesce(F.col("real"), F.col("keeper") != who, F.lit(False))
         step = moved.select("entity", "kind", (F.col("attempt") + again.cast("int")).alias("attempt"))
         after = cuts.cut(_tried(step, key), "surrogates")
         cuts.drop(now, clash)
         now = after
+    family = now.where("kind = 'family'").select(F.col("entity").alias("family"), F.col("surrogate").alias("new_family"))
+    given = now.where("kind like 'given%'").select(F.col("entity").alias("given"), F.col("kind").alias("given_kind"), F.col("surrogate").alias("new_given"))
+    whole = persons.join(family, "family").join(given, ["given", "given_kind"], "left")
+    new = F.concat("title", F.coalesce(F.concat("new_given", F.lit(" ")), F.lit("")), "new_family")
+    return now.where("kind <> 'family' and kind not like 'given%'").select("entity", "kind", "surrogate").union(whole.select("entity", F.lit("person"), new))
 
 
 def pseudonymised(spark: SparkSession, docs: DataFrame, key: str = "parsieve") -> DataFrame:
     """doc_id, n_entities, text with surrogates; a row per input row.
 
-    Null texts stay null, texts without an entity as they are. The key should be secret
-    and kept: the same key gives the same surrogates.
+    Null texts stay null, texts without an entity as they are and where they are: only rows
+    with an entity are written and joined, each under a number of its own, so repeated and
+    null doc_ids are rows like any other. The key should be secret and kept: the same key
+    gives the same surrogates.
     """
     rows = docs.select("doc_id", "text")
-    hit = F.coalesce(F.col("text").rlike(HINT), F.lit(False))
-    found = rows.select("doc_id", "text", F.when(hit, F.regexp_extract_all("text", F.lit(ANY), F.lit(0))).otherwise(F.array().cast("array<string>")).alias("found"))
+    hinted = F.coalesce(F.col("text").rlike(HINT), F.lit(False))
+    found = F.when(hinted, F.regexp_extract_all("text", F.lit(ANY), F.lit(0)))
     cuts = Cuts(spark)
-    mentions = cuts.cut(found.select("doc_id", F.explode("found").alias("entity")).groupBy("doc_id", "entity").agg(F.count(F.lit(1)).alias("n")), "mentions")
+    hit = rows.withColumn("found", found).where(F.size("found") > 0)
+    hit = cuts.cut(hit.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", "found"), "hit")
+    mentions = cuts.cut(hit.select("row", F.explode(F.array_distinct("found")).alias("entity")), "mentions")
     table = cuts.cut(surrogates(spark, mentions.select("entity").distinct(), key), "table")
-    named = mentions.join(table, "entity").groupBy(F.col("doc_id").alias("hit_doc")).agg(F.map_from_entries(F.collect_list(F.struct("entity", "surrogate"))).alias("names"))
-    joined = found.join(cuts.cut(named, "named"), F.col("doc_id").eqNullSafe(F.col("hit_doc")), "left")
+    named = mentions.join(table.hint("merge"), "entity").groupBy("row").agg(F.map_from_entries(F.collect_list(F.struct("entity", "surrogate"))).alias("names"))
+    joined = hit.join(named.hint("merge"), "row")
     new = F.transform(F.concat("found", F.array(F.lit(""))), lambda m: F.when(m == "", "").otherwise(F.element_at("names", m)))
     text = F.array_join(F.flatten(F.zip_with(F.split("text", ANY, -1), new, lambda a, b: F.array(a, b))), "")
-    return joined.select("doc_id", F.size("found").cast("long").alias("n_entities"), F.when(F.size("found") > 0, text).otherwise(F.col("text")).alias("text"))
+    plain = rows.where(~hinted | ~F.col("text").rlike(ANY)).select("doc_id", F.lit(0).cast("long").alias("n_entities"), "text")
+    return joined.select("doc_id", F.size("found").cast("long").alias("n_entities"), text.alias("text")).union(plain)
