@@ -12,8 +12,9 @@ from parsieve.functions import bitset
 from parsieve.functions.scores import Mdl, Score
 from parsieve.operators import kernel
 from parsieve.operators.kernel import Cells, Lists, Problem
-from parsieve.operators.search import SearchResult, search
+from parsieve.operators.search import SearchResult, partitions, scored, search
 from parsieve.plans.encode import Encoded
+from parsieve.plans.staging import Stage
 
 
 def sequential(p: Problem) -> tuple[Lists, dict]:
@@ -71,6 +72,32 @@ def synchronised_table(layer: DataFrame, p_n: int) -> DataFrame:
     return both.where((F.col("c") == F.bit_count("v")) & (F.col("x0") != 0)).select(F.col("v").alias("u0"), "x0")
 
 
+def synchronised_nodes(spark: SparkSession, p: Problem, factor: int = 4) -> int:
+    """Nodes of the synchronised search, run as tables of up to 63 columns: each layer is scored by the
+    search's own Arrow stage and grouped over all predecessors before the next."""
+    if p.n > bitset.WORD:
+        raise ValueError(f"up to {bitset.WORD} columns")
+    shared, stage, lists, total = spark.sparkContext.broadcast(p), Stage(spark), Lists(), 0
+    layer, depth, behind = spark.createDataFrame([(0, (1 << p.n) - 1)], "u0 long, x0 long"), 0, None
+    while True:
+        known = spark.sparkContext.broadcast(lists)
+        done = stage.cut(scored(layer, shared, known, 1))
+        stage.drop(behind)
+        behind = done
+        hits = done.select("u0", F.explode("hits").alias("h")).select("u0", "h.t", "h.s").collect()  # parent sets of one layer
+        for h in hits:
+            lists.add(h["t"], h["u0"], h["s"])
+        count, alive = done.agg(F.count(F.lit(1)), F.sum((F.col("y0") != 0).cast("long"))).first()
+        total += count if depth else 0
+        known.unpersist()
+        if not alive:
+            stage.close()
+            return total
+        layer = synchronised_table(done.where("y0 <> 0"), p.n)
+        layer = layer.repartitionByRange(partitions(spark, alive, factor), "u0").sortWithinPartitions("u0")
+        depth += 1
+
+
 def unfolded(spark: SparkSession, enc: Encoded, p: Problem) -> SearchResult:
     """A lattice per target: rows are never folded."""
     return search(spark, enc, p, "bfs", fold_from=10**9)

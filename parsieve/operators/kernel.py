@@ -8,9 +8,11 @@ import numpy as np
 
 from parsieve.functions.bitset import members
 from parsieve.functions.scores import Score
-from parsieve.plans.encode import Encoded, count_log
+from parsieve.plans.encode import Encoded
 
 DENSE = 1 << 22
+TABLED = 1 << 20  # counts up to here have their c * log2 c in a table
+BLOCK = 1 << 18  # cells and rows that one pass over several targets may take
 
 
 @dataclass
@@ -35,8 +37,8 @@ class Problem:
 
 
 def problem(enc: Encoded, score: Score, rules: tuple[str, ...] = ("c1", "c2"), ties: str = "strict", most_parents: int | None = None, packed=None) -> Problem:
-    if rules and not score.monotone:
-        rules = ()
+    if not score.monotone:  # Condition 2 needs a fit that can be told from the penalty
+        rules = tuple(r for r in rules if score.bounded and r in ("c1", "early_c1"))
     codes, weights = packed if packed is not None else enc.packed()
     p = Problem(codes, weights, enc.arity, enc.m, [], enc.floor, score, frozenset(rules), [], ties == "strict", most_parents)
     p.empty = [Cells(p).score(t, 0, 1.0) if not score.monotone else enc.entropy[t] + score.penalty(1, enc.arity[t], enc.m) for t in range(p.n)]
@@ -51,6 +53,9 @@ class Cells:
     def __init__(self, p: Problem):
         self.p = p
         self.path: list[tuple[int, np.ndarray, int, float | None]] = []
+        c = np.arange(min(p.m, TABLED) + 1, dtype=float)
+        self.table = c * np.log2(np.maximum(c, 1)) if p.m <= TABLED else None
+        self.even = bool((p.weights == 1).all())  # no row occurs twice: weights can stay out
 
     def of(self, u: int) -> tuple[np.ndarray, int]:
         wanted = members(u)
@@ -81,12 +86,46 @@ class Cells:
             return np.bincount(key, weights=self.p.weights, minlength=size * r)
         return np.bincount(np.unique(key, return_inverse=True)[1], weights=self.p.weights)
 
+    def _tally(self, key: np.ndarray, size: int, copies: int = 1) -> np.ndarray:
+        if self.even:
+            return np.bincount(key, minlength=size)
+        weights = self.p.weights if copies == 1 else np.tile(self.p.weights, copies)
+        return np.bincount(key, weights=weights, minlength=size)
+
+    def _logs(self, counts: np.ndarray) -> np.ndarray:
+        """c * log2 c of each count."""
+        if self.table is not None:
+            return self.table[counts.astype(np.intp, copy=False)]
+        return counts * np.log2(np.maximum(counts, 1))
+
+    def fits(self, u: int, targets: list[int]) -> list[float]:
+        """m * H(t | u) of all targets: as many as fit into a block take one pass."""
+        cell, size = self.of(u)
+        own = float(self._logs(self._tally(cell, size)).sum())
+        out, arity = [], self.p.arity
+        while targets:
+            taken = room = 0
+            for t in targets:
+                room += max(size * arity[t], len(cell))
+                if taken and room > BLOCK:
+                    break
+                taken += 1
+            part, targets = targets[:taken], targets[taken:]
+            if taken == 1:
+                out.append(own - float(self._logs(self.joint(u, part[0])).sum()))
+                continue
+            r = np.array([arity[t] for t in part], np.int64)
+            first = np.concatenate([[0], np.cumsum(size * r)])
+            key = cell[None, :] * r[:, None] + self.p.codes[part] + first[:-1, None]
+            logs = self._logs(self._tally(key.ravel(), int(first[-1]), taken))
+            out += (own - np.add.reduceat(logs, first[:-1])).tolist()
+        return out
+
     def score(self, t: int, u: int, q: float, parent: tuple[np.ndarray, float] | None = None) -> float:
         p = self.p
         counts, logs = parent or (self.counts(u), None)
         if p.score.monotone:
-            logs = count_log(counts) if logs is None else logs
-            return logs - count_log(self.joint(u, t)) + p.score.penalty(q, p.arity[t], p.m)
+            return self.fits(u, [t])[0] + p.score.penalty(q, p.arity[t], p.m)
         joint = self.joint(u, t)
         return p.score.cells(counts[counts > 0], joint[joint > 0], q, p.arity[t])
 
@@ -116,13 +155,20 @@ class Lists:
                 return self.scores[t][i]
         return float("inf")
 
-    def copy(self) -> Lists:
-        return Lists({t: list(v) for t, v in self.sets.items()}, {t: list(v) for t, v in self.scores.items()})
-
     def rows(self) -> list[tuple[int, int, float]]:
         return sorted((t, u, s) for t, v in self.sets.items() for u, s in zip(v, self.scores[t], strict=True))
 
 
+@dataclass
+class Overlay(Lists):
+    """Lists of one subtree on top of those that all subtrees share."""
+
+    below: Lists = field(default_factory=Lists)
+
+    def best(self, t: int, u: int) -> float:
+        return min(super().best(t, u), self.below.best(t, u))
+
+
 def product(p: Problem, u: int) -> float:
     q = 1.0
     for i in members(u):
@@ -137,30 +183,29 @@ def evaluate(p: Problem, cells: Cells, lists: Lists, u: int, x: int) -> tuple[li
     q = product(p, u)
     hits, go_on = [], 0
     seen = {"pairs": 0, "scored": 0, "c1": 0, "c2": 0}
-    parent = None
     smallest = min((p.arity[i] for i in range(p.n) if not u >> i & 1), default=1) if "tight_c2" in p.rules else 1
-    for t in members(x):
-        seen["pairs"] += 1
-        fine = p.score.penalty(q, p.arity[t], p.m) if p.score.monotone else 0.0
-        done = "c1" in p.rules and fine >= p.empty[t] - p.eps[t]
-        if done and u:
-            seen["c1"] += 1
-            continue
-        if u:
-            if parent is None:
-                counts = cells.counts(u)
-                parent = (counts, count_log(counts) if p.score.monotone else 0.0)
-            s = cells.score(t, u, q, parent)
-            seen["scored"] += 1
-            d = lists.best(t, u)
-        else:
-            s, d = p.empty[t], float("inf")
+    targets = members(x)
+    fine = {t: p.score.penalty(q, p.arity[t], p.m) if p.score.bounded else 0.0 for t in targets}
+    ended = {t for t in targets if "c1" in p.rules and fine[t] >= p.empty[t] - p.eps[t]}
+    seen["pairs"] = len(targets)
+    wanted = [t for t in targets if not u or t not in ended]
+    if not u:
+        scores = {t: p.empty[t] for t in wanted}
+    elif p.score.monotone:
+        scores = {t: fit + fine[t] for t, fit in zip(wanted, cells.fits(u, wanted), strict=True)} if wanted else {}
+    else:
+        parent = (cells.counts(u), None) if wanted else None
+        scores = {t: cells.score(t, u, q, parent) for t in wanted}
+    if u:
+        seen["c1"], seen["scored"] = len(targets) - len(wanted), len(wanted)
+    for t in wanted:
+        s, d = scores[t], lists.best(t, u) if u else float("inf")
         if (s < d - p.eps[t]) if p.strict else (s <= d + p.eps[t]):
             hits.append((t, s))
         d = min(d, s)
-        if done:
+        if t in ended:
             seen["c1"] += 1
-        elif "c2" in p.rules and d <= p.floor[t] + fine * max(1, smallest) + p.eps[t]:
+        elif "c2" in p.rules and d <= p.floor[t] + fine[t] * max(1, smallest) + p.eps[t]:
             seen["c2"] += 1
         else:
             go_on |= 1 << t
@@ -185,13 +230,14 @@ def children(p: Problem, u: int, go_on: int) -> list[tuple[int, int]]:
     return out
 
 
-def subtree(p: Problem, lists: Lists, roots: list[tuple[int, int]]) -> tuple[list[tuple[int, int, float]], dict[str, int]]:
-    """Depth-first search below each root with lists of its own. Siblings go by falling
-    column, so a subset that the same root visits always comes before its supersets."""
-    cells, found = Cells(p), []
+def subtree(p: Problem, lists: Lists, roots: list[tuple[int, int]], cells: Cells | None = None) -> tuple[list[tuple[int, int, float]], dict[str, int]]:
+    """Depth-first search below each root with finds of its own on top of `lists`. Siblings
+    go by falling column, so a subset that the same root visits always comes before its
+    supersets. Cells are shared by all roots."""
+    cells, found = cells or Cells(p), []
     seen = {"nodes": 0, "pairs": 0, "scored": 0, "c1": 0, "c2": 0, "deepest": 0}
     for root in roots:
-        own, stack = lists.copy(), [root]
+        own, stack = Overlay(below=lists), [root]
         while stack:
             u, x = stack.pop()
             hits, go_on, part = evaluate(p, cells, own, u, x)

@@ -66,7 +66,7 @@ def score_pairs(spark: SparkSession, enc: Encoded, scorer: Score, pairs: list[tu
     return {(t, u): sums[u] - sums[u | 1 << t] + scorer.penalty(kernel_product(enc, u), enc.arity[t], enc.m) for t, u in pairs}
 
 
-def search_relational(spark: SparkSession, enc: Encoded, scorer: Score, prune=("c1", "c2"), ties="strict", max_parents: int | None = None) -> SearchResult:
+def search_relational(spark: SparkSession, enc: Encoded, scorer: Score, prune=("c1", "c2"), ties="strict", max_parents: int | None = None, targets: list[int] | None = None) -> SearchResult:
     """Breadth-first over unfolded rows (t, u, d): counts by aggregation, conditions as
     column expressions, optima by passing d to children and taking the least of all
     predecessors that arrive. A child whose other predecessors were pruned gets too
@@ -74,11 +74,14 @@ def search_relational(spark: SparkSession, enc: Encoded, scorer: Score, prune=("
     against the finished lists as in the depth-first mode."""
     if not scorer.monotone:
         raise ValueError("the relational search needs a score with a monotone penalty")
+    if enc.n > bitset.WORD:
+        raise ValueError(f"the relational search takes up to {bitset.WORD} columns: the packed one takes any number")
     begun, stage = time.time(), Stage(spark)
+    chosen = range(enc.n) if targets is None else targets
     p = kernel.Problem(None, None, enc.arity, enc.m, [e + scorer.penalty(1, a, enc.m) for e, a in zip(enc.entropy, enc.arity, strict=True)], enc.floor, scorer, frozenset(prune), [], ties == "strict", max_parents)
     p.eps = [max(1e-6, 1e-12 * abs(s)) for s in p.empty]
     facts = F.broadcast(spark.createDataFrame([(t, enc.arity[t], p.empty[t], p.floor[t], p.eps[t]) for t in range(p.n)], "t int, r int, empty double, floor double, eps double"))
-    frontier = spark.createDataFrame([(t, 0, float("inf")) for t in range(p.n)], "t int, u long, d double")
+    frontier = spark.createDataFrame([(t, 0, float("inf")) for t in chosen], "t int, u long, d double")
     entries: list[tuple[int, int, float]] = []
     layers, depth = [], 0
     while True:
@@ -113,8 +116,8 @@ def search_relational(spark: SparkSession, enc: Encoded, scorer: Score, prune=("
         grown = rows.where("not stop").select("t", "u", "d", F.explode(F.sequence(F.lit(0), F.lit(p.n - 1))).alias("new"))
         inside = F.col("u").bitwiseAND(bitset.bit(0, F.col("new"), p.n)) != 0
         grown = grown.where((F.col("new") != F.col("t")) & ~inside).withColumn("v", F.col("u").bitwiseOR(bitset.bit(0, F.col("new"), p.n)))
-        chosen = F.max(F.col("u") < bitset.bit(0, F.col("new"), p.n))
-        frontier = grown.groupBy("t", "v").agg(F.min("d").alias("d"), chosen.alias("chosen")).where("chosen").select("t", F.col("v").alias("u"), "d")
+        led = F.max(F.col("u") < bitset.bit(0, F.col("new"), p.n))
+        frontier = grown.groupBy("t", "v").agg(F.min("d").alias("d"), led.alias("led")).where("led").select("t", F.col("v").alias("u"), "d")
         depth += 1
     entries = sorted(e for e in entries if not any(t == e[0] and v != e[1] and not v & ~e[1] and s <= e[2] + p.eps[t] for t, v, s in entries)) if p.strict else sorted(entries)
     totals = {"nodes": sum(x["nodes"] for x in layers[1:]), "pairs": sum(x["pairs"] for x in layers), "seconds": time.time() - begun, "mode": "relational", "l_max": len(layers) - 1, "l_z": max((u.bit_count() for _, u, _ in entries), default=0), "z": len(entries), "flagged": 0, "rejected": 0, "left_at_switch": 0}

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from itertools import combinations
 
@@ -9,7 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from parsieve.functions.scores import Aic, Bdeu, Mdl
+from parsieve.functions.scores import Aic, Bdeu, Custom, Fnml, Mdl
 from parsieve.functions.bitset import from_names, names
 from parsieve.operators import baselines, kernel, lookup, metrics, network, relational
 from parsieve.operators.search import find_parent_sets
@@ -22,6 +23,7 @@ from parsieve.streaming import counts
 
 COLUMNS = {"ord4": "a b c d", "geo5": "a b c d e", "evt7": "a b c d e f g", "doc10": "a b c d e f g h i j", "plant12": "a b c d e f g h i j k v"}
 COLUMNS = {k: v.split() for k, v in COLUMNS.items()}
+EVT3 = ["event_type", "quarter", "part"]
 Query = Callable[[SparkSession, str], DataFrame]
 
 
@@ -144,15 +146,79 @@ def _summary_sql(view: str) -> str:
 
 
 def _topk(view: str) -> Query:
-    return lambda spark, sf: lookup.top_sets(find_parent_sets(load(spark, sf, view)).mps, 3).select("target", "place", F.round("score", 3).alias("score"))
+    return lambda spark, sf: lookup.top_sets(find_parent_sets(load(spark, sf, view)).mps, 3).select("target", "place", F.array_join("parents", "+").alias("parents"), F.round("score", 3).alias("score"))
 
 
 def _topk_sql(view: str) -> str:
-    return oracle.mps_sql(view, COLUMNS[view], "select target, place::int as place, round(s, 3) as score from (select *, row_number() over (partition by target order by s) as place from mps) where place <= 3")
+    return oracle.mps_sql(view, COLUMNS[view], f"select target, place::int as place, {oracle.names_sql(COLUMNS[view], 'ub')} as parents, round(s, 3) as score from (select *, row_number() over (partition by target order by s) as place from mps) where place <= 3")
 
 
 def _layers(view: str, **options) -> Query:
-    return lambda spark, sf: find_parent_sets(load(spark, sf, view), **options).layer_table
+    return lambda spark, sf: find_parent_sets(load(spark, sf, view), **options).layer_table.select("layer", "nodes", "pairs", "new_mps")
+
+
+def _layers_sql(view: str) -> str:
+    tail = " select v.size::int as layer, count(distinct v.ub) as nodes, count(*) as pairs, (select count(*) from mps where mps.size = v.size) as new_mps from visited v group by v.size"
+    return oracle.visited_sql(view, COLUMNS[view]) + tail
+
+
+def _order(view: str) -> Query:
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        return spark.createDataFrame(list(enumerate(encode(load(spark, sf, view)).order)), "pos int, name string")
+
+    return run
+
+
+def _order_sql(view: str) -> str:
+    return oracle.visited_sql(view, COLUMNS[view]) + " select (place - 1)::int as pos, name from pos"
+
+
+def _front(view: str) -> Query:
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        f = lookup.front(find_parent_sets(load(spark, sf, view)).mps)
+        return f.select("target", "size", *(F.round(c, 3).alias(c) for c in ("score", "best_so_far", "gain")))
+
+    return run
+
+
+def _front_sql(view: str) -> str:
+    by_size = "sizes as (select target, size, min(s) as score from mps group by all)"
+    gain = "lag(score) over (partition by target order by size) - score"
+    best = "min(score) over (partition by target order by size rows between unbounded preceding and current row)"
+    return oracle.mps_sql(view, COLUMNS[view], f", {by_size} select target, size, round(score, 3) as score, round({best}, 3) as best_so_far, round({gain}, 3) as gain from sizes")
+
+
+POOL = ["a", "d", "e", "g", "h", "j"]
+
+
+def q_optimal(spark: SparkSession, sf: str) -> DataFrame:
+    """The best parents of v within a pool, and of k within all columns."""
+    mps = find_parent_sets(load(spark, sf, "plant12")).mps
+    return lookup.flat(lookup.optimal(mps, "v", POOL).union(lookup.optimal(mps, "k")))
+
+
+def _optimal_sql() -> str:
+    cols = COLUMNS["plant12"]
+    pool = sum(1 << (len(cols) - 1 - cols.index(c)) for c in POOL)
+    one = lambda where: f"(select target, {oracle.names_sql(cols, 'ub')} as parents, size, round(s, 3) as score from mps where {where} order by s limit 1)"
+    every = (1 << len(cols)) - 1
+    return oracle.mps_sql("plant12", cols, f"{one(f'target = {chr(39)}v{chr(39)} and (ub & {every - pool}) = 0')} union all {one(f'target = {chr(39)}k{chr(39)}')}")
+
+
+def _custom(view: str) -> Query:
+    """MDL given as a score of one's own: with its penalty as the bound it prunes."""
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        e = encode(load(spark, sf, view))
+        half = math.log2(e.m) / 2
+
+        def bits(parent, joint, q, r):
+            import numpy as np
+
+            return float((parent * np.log2(parent)).sum() - (joint * np.log2(joint)).sum() + half * q * (r - 1))
+
+        return lookup.flat(find_parent_sets(None, scorer=Custom(bits, lambda q, r, m: half * q * (r - 1)), encoded=e).mps)
+
+    return run
 
 
 def _unpruned_sql(view: str) -> str:
@@ -185,19 +251,33 @@ def _blanket(view: str) -> Query:
     return run
 
 
+WORK = ["nodes", "pairs", "sync_nodes", "extra_percent", "removed_percent", "unpruned", "share_percent", "l_max", "l_z", "z", "list_min", "list_max"]
+
+
 def _work(view: str) -> Query:
     """Search-space table of a view: nodes, synchronised nodes, extra and removed shares."""
 
     def run(spark: SparkSession, sf: str) -> DataFrame:
         r = find_parent_sets(load(spark, sf, view))
-        _, sync = baselines.synchronised(r.problem)
-        m = metrics.report(r, sync["nodes"])
-        keys = ["nodes", "pairs", "sync_nodes", "extra_percent", "removed_percent", "unpruned", "share_percent", "l_max", "l_z", "z", "list_min", "list_max"]
-        return spark.createDataFrame([tuple(float(m[k]) for k in keys)], ", ".join(f"{k} double" for k in keys))
+        m = metrics.report(r, baselines.synchronised_nodes(spark, r.problem))
+        return spark.createDataFrame([tuple(round(float(m[k]), 6) for k in WORK)], ", ".join(f"{k} double" for k in WORK))
 
     return run
 
 
+def _work_sql(view: str) -> str:
+    n = len(COLUMNS[view])
+    return f"""{oracle.visited_sql(view, COLUMNS[view])},
+    lists as (select count(*) as k from mps group by target),
+    f as (select (select count(distinct ub) from visited where ub > 0)::double as nodes, (select count(*) from visited)::double as pairs, (select count(*) from synced)::double as sync_nodes,
+      (select max(size) from visited)::double as l_max, (select max(size) from mps)::double as l_z, (select count(*) from mps)::double as z,
+      (select min(k) from lists)::double as list_min, (select max(k) from lists)::double as list_max),
+    g as (select *, (select count(*) from range(1, {(1 << n) - 1}) t(s) where bit_count(s) <= l_max)::double as unpruned from f)
+    select *, case when sync_nodes > 0 then round(100 * (nodes - sync_nodes) / sync_nodes, 6) else 0.0 end as extra_percent,
+      case when unpruned > sync_nodes then round(100 * (unpruned - nodes) / (unpruned - sync_nodes), 6) else 100.0 end as removed_percent,
+      case when unpruned > 0 then round(100 * nodes / unpruned, 6) else 0.0 end as share_percent from g"""
+
+
 def _single_machine(view: str, which: str) -> Query:
     def run(spark: SparkSession, sf: str) -> DataFrame:
         e = encode(load(spark, sf, view))
@@ -263,7 +343,7 @@ def q_unlabelled(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def q_range_bins(spark: SparkSession, sf: str) -> DataFrame:
-    bins = F.broadcast(spark.createDataFrame([(i, 1000.0 * (i * i), 1000.0 * (i + 1) ** 2) for i in range(26)], "bin int, lo double, hi double"))
+    bins = F.broadcast(spark.createDataFrame([(i, 1000.0 * (i * i), 1000.0 * (i + 1) ** 2 if i < 25 else math.inf) for i in range(26)], "bin int, lo double, hi double"))
     o = table(spark, sf, "orders").select(F.col("o_totalprice").cast("double").alias("p"))
     return o.join(bins, (F.col("p") >= F.col("lo")) & (F.col("p") < F.col("hi"))).groupBy("bin").agg(F.count(F.lit(1)).alias("n"))
 
@@ -300,9 +380,8 @@ def q_stream(which: str) -> Query:
         if which == "dedup":
             out = counts.run_now(counts.once(s.select("event_id", "ts", "event_type")), "append")
             return out.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
-        if which == "sessions":
-            return counts.run_now(counts.sessions(s), "complete")
-        return counts.run_now((counts.tumbling if which == "tumbling" else counts.sliding)(s))
+        out = counts.run_now({"sessions": counts.sessions, "tumbling": counts.tumbling, "sliding": counts.sliding}[which](s), "complete")
+        return out.withColumn("begins", F.date_format("begins", "yyyy-MM-dd HH:mm:ss"))
 
     return run
 
@@ -311,8 +390,7 @@ def stream_mps(spark: SparkSession, sf: str) -> DataFrame:
     """Parent sets from the counts that a stream keeps: equal to those of the rows."""
     s = counts.events_stream(spark, sf).select("event_type", F.floor(F.hour("ts") / 6).alias("quarter"), (F.col("user_id") % 5).alias("part"))
     kept = counts.run_now(counts.contingency(s, ["event_type", "quarter", "part"]))
-    rows = kept.withColumn("i", F.explode(F.sequence(F.lit(1).cast("long"), "w"))).drop("w", "i")
-    return lookup.flat(find_parent_sets(rows).mps)
+    return lookup.flat(find_parent_sets(kept, EVT3, weight="w").mps)
 
 
 def udaf_entropy(spark: SparkSession, sf: str) -> DataFrame:
@@ -348,7 +426,9 @@ def queries() -> dict[str, Query]:
         "mps_geo5_aic": _mps("geo5", scorer=Aic()), "mps_ord4_bdeu": _mps("ord4", scorer=Bdeu()), "mps_emb64_capped": _emb64(3), "mps_emb16": _mps("emb16"), "mps_star20": _mps("star20"),
         "summary_plant12": _summary("plant12"), "summary_doc10": _summary("doc10"), "topk_plant12": _topk("plant12"),
         "lookup_best_geo5": _lookup("geo5"), "lookup_best_evt7": _lookup("evt7"), "all_optimal_geo5": _all_optimal("geo5", False), "depth_first_memo_geo5": _all_optimal("geo5", True),
-        "layers_plant12": _layers("plant12"), "work_plant12": _work("plant12"), "work_doc10": _work("doc10"),
+        "layers_plant12": _layers("plant12"), "layers_doc10": _layers("doc10"),
+        "mps_geo5_target": _mps("geo5", targets=["b"]), "mps_geo5_relational_target": _mps("geo5", targets=["b"], backend="relational"), "mps_evt7_dfs_default": _mps("evt7", mode="dfs"),
+        "mps_ord4_fnml": _mps("ord4", scorer=Fnml()), "mps_evt7_custom": _custom("evt7"), "order_plant12": _order("plant12"), "order_evt7": _order("evt7"), "front_plant12": _front("plant12"), "optimal_plant12": q_optimal,
         "layers_evt7_unpruned": lambda spark, sf: _layers("evt7", prune=())(spark, sf).select("layer", "nodes"),
         "network_geo5": _network("geo5"), "network_ord4": _network("ord4"), "blanket_geo5": _blanket("geo5"), "greedy_vs_exact_plant12": _greedy,
         "entropy_pairs_ord4": _pairs("ord4", Mdl(), "entropy"), "mdl_pairs_plant12": _pairs("plant12", Mdl(), "mdl"), "aic_pairs_plant12": _pairs("plant12", Aic(), "aic"),
@@ -357,6 +437,7 @@ def queries() -> dict[str, Query]:
         "win_transitions": q_running, "pivot_flags": q_pivot, "setops_nations": q_sets, "win_turns": q_turns, "udaf_entropy": udaf_entropy,
         "stream_contingency": q_stream("contingency"), "stream_tumbling": q_stream("tumbling"), "stream_sliding": q_stream("sliding"), "stream_sessions": q_stream("sessions"), "stream_dedup": q_stream("dedup"), "stream_mps": stream_mps,
     }
+    out |= {f"work_{v}": _work(v) for v in COLUMNS}
     return out | surround.QUERIES
 
 
@@ -367,10 +448,23 @@ def oracle_sql() -> dict[str, str]:
     for name in queries():
         kind, _, rest = name.partition("_")
         view = rest.removeprefix("mps_").split("_")[0]
-        if (kind == "mps" or name.startswith("brute_mps")) and view in full and not name.endswith(("aic", "bdeu")):
+        if (kind == "mps" or name.startswith("brute_mps")) and view in full and not name.endswith(("aic", "bdeu", "fnml", "target")):
             out[name] = full[view]
     for v in ("plant12", "doc10"):
         out[f"summary_{v}"] = _summary_sql(v)
+    out |= {f"work_{v}": _work_sql(v) for v in COLUMNS} | {f"order_{v}": _order_sql(v) for v in ("plant12", "evt7")} | {f"layers_{v}": _layers_sql(v) for v in ("plant12", "doc10")}
+    one = f"select target, {oracle.names_sql(COLUMNS['geo5'], 'ub')} as parents, size, round(s, 3) as score from mps where target = 'b'"
+    out |= {f"mps_geo5_{k}": oracle.mps_sql("geo5", COLUMNS["geo5"], one) for k in ("target", "relational_target")}
+    day = "strftime(date_trunc('day', ts::timestamp){}, '%Y-%m-%d %H:%M:%S') as begins"
+    spans = " union all ".join(f"select {day.format(back)}, event_type from events" for back in ("", " - interval 1 day"))
+    out |= {
+        "mps_geo5_aic": oracle.mps_sql("geo5", COLUMNS["geo5"], score="aic"), "mps_ord4_bdeu": oracle.mps_sql("ord4", COLUMNS["ord4"], score="bdeu"),
+        "stream_mps": oracle.mps_sql("evt3", EVT3), "front_plant12": _front_sql("plant12"), "optimal_plant12": _optimal_sql(),
+        "stream_tumbling": f"select {day.format('')}, event_type, count(*) as c from events group by all", "stream_sliding": f"select begins, event_type, count(*) as c from ({spans}) group by all",
+        "stream_sessions": """with e as (select user_id, ts::timestamp as ts, case when ts::timestamp - lag(ts::timestamp) over w < interval 6 hours then 0 else 1 end as fresh from events window w as (partition by user_id order by ts)),
+          s as (select *, sum(fresh) over (partition by user_id order by ts rows between unbounded preceding and current row) as k from e)
+          select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') as begins, count(*) as c from s group by user_id, k""",
+    }
     out |= {
         "topk_plant12": _topk_sql("plant12"), "lookup_best_geo5": _lookup_sql("geo5"), "lookup_best_evt7": _lookup_sql("evt7"), "all_optimal_geo5": _lookup_sql("geo5"), "depth_first_memo_geo5": _lookup_sql("geo5"),
         "layers_evt7_unpruned": _unpruned_sql("evt7"), "network_geo5": _network_sql("geo5"), "network_ord4": _network_sql("ord4"),
@@ -379,7 +473,7 @@ def oracle_sql() -> dict[str, str]:
         "rollup_chain_ord4": f"with v as ({duck_sql('ord4')}) select a, b, c, count(*) as n from v group by rollup(a, b, c)",
         "left_labels": "select lang, quality, count(*) as n from documents left join labels using (doc_id) group by all",
         "anti_unlabelled": "select source, count(*) as n from documents d where not exists (select 1 from labels l where l.doc_id = d.doc_id) group by all",
-        "range_bins": "select floor(sqrt(o_totalprice / 1000))::int as bin, count(*) as n from orders where o_totalprice < 676000 group by all",
+        "range_bins": "select least(floor(sqrt(o_totalprice / 1000)), 25)::int as bin, count(*) as n from orders where o_totalprice >= 0 group by all",
         "win_transitions": "select before, event_type, count(*) as n from (select event_type, lag(event_type) over (partition by user_id order by ts, event_id) as before from events) where before is not null group by all",
         "pivot_flags": "select l_returnflag, count(*) filter (l_linestatus = 'F') as n_f, count(*) filter (l_linestatus = 'O') as n_o from lineitem group by all",
         "setops_nations": "with c as (select distinct c_nationkey as k from customer), s as (select distinct s_nationkey as k from supplier) select k, 'union' as kind from (select k from c union select k from s) union all select k, 'both' from (select k from c intersect select k from s) union all select k, 'first' from (select k from c except select k from s)",

@@ -51,14 +51,17 @@ def code_log_sum(df: DataFrame, weight: str = "w") -> Column:
     return F.sum(F.col(weight) * F.log2(weight))
 
 
-def encode(df: DataFrame, variables: list[str] | None = None, null_policy: str = "state", order: str = "arity") -> Encoded:
+def encode(df: DataFrame, variables: list[str] | None = None, null_policy: str = "state", order: str = "arity", weight: str | None = None) -> Encoded:
     """Dictionary codes, one aggregation to distinct rows (the only pass over raw rows),
-    then the facts from those. A null is a state of its own, dropped, or an error."""
-    variables = variables or df.columns
-    df = df.select(*variables)
+    then the facts from those. A null is a state of its own, dropped, or an error. With a
+    `weight` column a row stands for so many; rows of weight 0 or less count for nothing."""
+    variables = variables or [c for c in df.columns if c != weight]
+    number = F.sum(F.col(weight).cast("long")) if weight else F.count(F.lit(1))
+    if weight:
+        df = df.where(F.col(weight) > 0)
     if null_policy == "drop":
-        df = df.dropna()
-    sums = df.groupBy(*variables).agg(F.count(F.lit(1)).alias("w__")).persist()
+        df = df.dropna(subset=variables)
+    sums = df.groupBy(*variables).agg(number.alias("w__")).persist()
     try:
         return _encode(sums, variables, null_policy, order)
     finally:
@@ -97,26 +100,29 @@ def count_log(counts: np.ndarray) -> float:
 
 
 def _encode(sums: DataFrame, variables: list[str], null_policy: str, order: str) -> Encoded:
-    total = [F.sum("w__").alias("m"), *(F.array_sort(F.collect_set(c)).alias(f"s_{i}") for i, c in enumerate(variables)), *(F.max(F.col(c).isNull()).alias(f"n_{i}") for i, c in enumerate(variables))]
-    first = sums.agg(*total).first()
+    # Numbers of states first: a column with too many is refused before any list of them is made.
+    facts = [F.sum("w__").alias("m"), F.count(F.lit(1)).alias("rows")]
+    facts += [f for i, c in enumerate(variables) for f in (F.approx_count_distinct(c, 0.02).alias(f"d_{i}"), F.max(F.col(c).isNull()).alias(f"n_{i}"))]
+    first = sums.agg(*facts).first()
     m = first["m"] or 0
+    for i, c in enumerate(variables):
+        if first[f"n_{i}"] and null_policy == "error":
+            raise ValueError(f"column {c} has nulls")
+        if first[f"d_{i}"] > 1.1 * MOST_STATES:
+            raise ValueError(f"column {c} has more than {MOST_STATES} states: bin it first")
+    found = sums.agg(*(F.array_sort(F.collect_set(c)).alias(f"s_{i}") for i, c in enumerate(variables))).first()  # bounded by the check above
     labels, codes = {}, []
     for i, c in enumerate(variables):
-        states = list(first[f"s_{i}"])
-        if first[f"n_{i}"]:
-            if null_policy == "error":
-                raise ValueError(f"column {c} has nulls")
-            states = [None, *states]
-        if len(states) > MOST_STATES:
+        known = list(found[f"s_{i}"])
+        labels[c] = [None, *known] if first[f"n_{i}"] else known
+        if len(labels[c]) > MOST_STATES:
             raise ValueError(f"column {c} has more than {MOST_STATES} states: bin it first")
-        labels[c] = states
-        known = [s for s in states if s is not None]
-        shift = len(states) - len(known)
+        shift = len(labels[c]) - len(known)
         place = F.array_position(F.array(*map(F.lit, known)), F.col(c)).cast("int") + (shift - 1) if known else F.lit(0)
         codes.append(F.coalesce(place, F.lit(0)).cast("int").alias(c))
     rows = sums.select(*codes, F.col("w__").alias("w"))
     arity = {c: max(1, len(labels[c])) for c in variables}
-    if sums.count() <= LOCAL_ROWS:
+    if (first["rows"] or 0) <= LOCAL_ROWS:
         arrow = rows.toArrow()
         rows = rows.sparkSession.createDataFrame(arrow) if arrow.num_rows else rows
         bits, floor = _local_facts(arrow, variables, arity)

@@ -34,4 +34,18 @@ class Stage:
         self.n += 1
         path = f"{self.root}/{self.n}"
         df.write.parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        out._stage_path = path
+        return out
+
+    def drop(self, df: DataFrame | None) -> None:
+        """Removes a table that nothing reads any more."""
+        if path := getattr(df, "_stage_path", None):
+            self._delete(path)
+
+    def close(self) -> None:
+        self._delete(self.root)
+
+    def _delete(self, path: str) -> None:
+        p = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)

@@ -46,6 +46,7 @@ VIEWS: dict[str, str] = {
     "brand12": f"""select p_brand as a, p_type as b, {_INT("(p_size-1)/10")} as c, split_part(p_name, ' ', 1) as d, split_part(p_name, ' ', 2) as e, l_linenumber as f,
       {_INT("(l_quantity-1)/10")} as g, {_INT("l_extendedprice/20000")} as h, cast(round(100*l_discount) as int) as i, l_returnflag as j, l_linestatus as k, year(l_shipdate) as l
       from {{lineitem}} x join {{part}} y on l_partkey = p_partkey""",
+    "evt3": f"select event_type, {_INT('hour(ts)/6')} as quarter, user_id % 5 as part from {{events}}",
     "plant12": _plant(),
     "star20": _STAR,
 }
@@ -62,7 +63,7 @@ def sql_for(view: str, engine: str) -> str:
     else:
         sql = VIEWS[view]
     spark = engine == "spark"
-    return sql.replace("{json}", "get_json_object(props, '$.k')" if spark else "json_extract_string(props, '$.k')").replace("{dow}", "dayofweek(ts)")
+    return sql.replace("{json}", "get_json_object(props, '$.k')" if spark else "json_extract_string(props, '$.k')").replace("{dow}", "dayofweek(ts)" if spark else "dayofweek(ts) + 1")
 
 
 def duck_sql(view: str) -> str:
