@@ -29,6 +29,7 @@ from parsieve.llm.common import slices
 
 ORDER = 3
 UNKNOWN = "und"
+MOST_BYTES = 1 << 30  # of the table of code lengths
 
 
 class Trees(NamedTuple):
@@ -76,7 +77,7 @@ class Trees(NamedTuple):
         bits = self.lengths(raw)
         langs, scores, rates = [], [], []
         for t, r, b in zip(texts, raw, bits, strict=True):
-            if not any(map(str.isalpha, t or "")):
+            if not self.languages or not any(map(str.isalpha, t or "")):
                 langs.append(UNKNOWN), scores.append(0.0), rates.append(0.0)
                 continue
             best = int(b.argmin())
@@ -137,6 +138,8 @@ def fit(counts: dict[str, tuple[np.ndarray, np.ndarray]]) -> Trees:
         slot[known[d]] = first[d] + np.arange(len(known[d]))
         deeper = slot[every % k**d]
         state_of = np.where(deeper >= 0, deeper, state_of)
+    if 4 * int(first[-1]) * k * len(languages) > MOST_BYTES:
+        raise ValueError("the context trees are too large to send to every task")
     bits = np.empty((first[-1], k, len(languages)), np.float32)
     for column, lang in enumerate(languages):
         c, n = coded[lang], counts[lang][1].astype(float)
@@ -174,14 +177,18 @@ def held_out() -> F.Column:
     return F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 3 == 1, F.lit(False))
 
 
-def train(docs: DataFrame, rows_per_language: int = 1500, languages: int = 200) -> Trees:
+def train(docs: DataFrame, rows_per_language: int = 1500, languages: int = 2000) -> Trees:
     """Fits on a bounded sample of labelled rows: about `rows_per_language` whole texts of
-    each of the `languages` most frequent labels, chosen by a hash of doc_id against
-    the label's row count, so the rows kept do not grow with the table."""
+    every label, chosen by a hash of doc_id against the label's row count, so the rows kept
+    do not grow with the table. More than `languages` labels are an error, and so is a model
+    of more than MOST_BYTES. Without a labelled text, as in an empty table, the trees know
+    no language and every text is `und`."""
     rows = docs.select("doc_id", "text", "lang").where(in_training() & F.col("lang").isNotNull() & (F.length("text") > 0))
-    sizes = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(languages).collect()
+    sizes = rows.groupBy("lang").count().limit(languages + 1).collect()
+    if len(sizes) > languages:
+        raise ValueError(f"more than {languages} languages to learn")
     if not sizes:
-        raise ValueError("no labelled text to learn from")
+        return Trees([], np.zeros(256, np.uint8), 1, np.zeros(1, np.int32), np.zeros((1, 0), np.float32))
     scale = 1 << 30
     share = F.create_map(*(F.lit(x) for r in sizes for x in (r["lang"], min(scale, math.ceil(scale * rows_per_language / r["count"])))))
     chosen = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(scale)) < F.coalesce(F.try_element_at(share, F.col("lang")), F.lit(0)))
@@ -222,7 +229,8 @@ def identify(docs: DataFrame, trees: Trees) -> DataFrame:
 
 
 def language_filter(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """Pipeline stage: keeps the rows whose text has a language (`lang` is set to it)."""
+    """Pipeline stage: keeps the rows whose text has a language (`lang` is set to it). Where
+    no row has a label nothing is learnt, every text is `und`, and no row stays."""
     trees = train(docs)
     shared = spark.sparkContext.broadcast(trees)
     columns = docs.columns

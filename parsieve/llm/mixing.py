@@ -93,48 +93,55 @@ def source_tokens(docs: DataFrame, tokens: Column) -> dict:
     return {r["source"]: r["tokens"] for r in rows}
 
 
-def mixed(docs: DataFrame, chosen: Plan, seed: int = 17, tokens: Column | None = None) -> DataFrame:
+def mixed(docs: DataFrame, chosen: Plan, seed: int = 17, tokens: Column | None = None, content: Column | None = None) -> DataFrame:
     """docs with mix_pass (0..), mix_block and mix_slot: a row for each time that a row is
     used; in the order of (mix_pass, mix_block, mix_slot) a source's passes are
     permutations of it. Repeated rows count each; ties in a hash go by doc_id.
 
     The part of a last pass takes whole blocks in their order, then of the next block the
-    rows whose running sum stays within the budget.
+    rows whose running sum stays within the budget. Rows are dealt by doc_id and `content`
+    (default: the text), so rows without an id do not gather in one block. Columns of docs may have any
+    names: they travel as one value.
     """
     tokens = tokens if tokens is not None else tokens_of(F.col("text"))
+    content = content if content is not None else F.col("text")
     schema = "source string, passes double"
     # A row per source, whose number is checked: a broadcast of bounded size.
     table = docs.sparkSession.createDataFrame([(s, float(p)) for s, p in chosen.passes.items()], schema)
-    table = F.broadcast(table.withColumnRenamed("source", "mix_source"))
-    sized = docs.withColumns({"mix_tokens": tokens, "mix_key": F.xxhash64(F.lit(seed), F.col("doc_id"), F.col("source"))})
-    sums = sized.groupBy("source").agg(F.count(F.lit(1)).alias("rows"), F.sum("mix_tokens").alias("all_tokens")).withColumnRenamed("source", "mix_source")
-    facts = table.join(sums, table["mix_source"].eqNullSafe(sums["mix_source"])).select(table["mix_source"], "passes", "rows", "all_tokens")
-    facts = F.broadcast(facts.select("mix_source", F.floor("passes").alias("whole"), F.ceil(F.col("rows") / BLOCK).alias("blocks"), ((F.col("passes") - F.floor("passes")) * F.col("all_tokens")).alias("part")))
-    rows = sized.join(facts, sized["source"].eqNullSafe(F.col("mix_source"))).withColumn("block", F.pmod("mix_key", "blocks"))
+    table = F.broadcast(table.withColumnRenamed("source", "of"))
+    key = F.xxhash64(F.lit(seed), F.col("doc_id"), F.col("source"), content)
+    sized = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("doc"), F.col("source").alias("from"), F.col("doc_id").alias("id"), tokens.alias("tokens"), key.alias("key"))
+    sums = sized.groupBy("from").agg(F.count(F.lit(1)).alias("rows"), F.sum("tokens").alias("all_tokens"))
+    facts = table.join(sums, table["of"].eqNullSafe(sums["from"])).select("of", "passes", "rows", "all_tokens")
+    facts = F.broadcast(facts.select("of", F.floor("passes").alias("whole"), F.ceil(F.col("rows") / BLOCK).alias("blocks"), ((F.col("passes") - F.floor("passes")) * F.col("all_tokens")).alias("part")))
+    rows = sized.join(facts, F.col("from").eqNullSafe(F.col("of"))).withColumn("block", F.pmod("key", "blocks"))
     order = F.xxhash64(F.lit(seed), F.col("whole"), F.col("block"))
-    blocks = rows.groupBy("mix_source", "whole", "part", "block").agg(F.sum("mix_tokens").alias("block_tokens"))
-    run = Window.partitionBy("mix_source").orderBy(order, "block").rowsBetween(Window.unboundedPreceding, -1)
+    blocks = rows.groupBy("of", "whole", "part", "block").agg(F.sum("tokens").alias("block_tokens"))
+    run = Window.partitionBy("of").orderBy(order, "block").rowsBetween(Window.unboundedPreceding, -1)
     blocks = blocks.withColumn("before", F.coalesce(F.sum("block_tokens").over(run), F.lit(0)))
     left = F.col("part") - F.col("before")
-    taken = blocks.where(left > 0).select(F.col("mix_source").alias("taken_source"), F.col("block").alias("taken_block"), left.alias("left"), (F.col("block_tokens") <= left).alias("all_of_it"))
-    joined = rows.join(taken, F.col("mix_source").eqNullSafe(F.col("taken_source")) & (F.col("block") == F.col("taken_block")), "left")
+    taken = blocks.where(left > 0).select(F.col("of").alias("taken_from"), F.col("block").alias("taken_block"), left.alias("left"), (F.col("block_tokens") <= left).alias("all_of_it"))
+    joined = rows.join(taken, F.col("of").eqNullSafe(F.col("taken_from")) & (F.col("block") == F.col("taken_block")), "left")
     # A running sum only in the block that is cut: one of each source.
-    inside = Window.partitionBy("mix_source", "block").orderBy("mix_key", "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    cut = joined.where("not all_of_it").withColumn("extra", (F.sum("mix_tokens").over(inside) <= F.col("left")).cast("int"))
+    inside = Window.partitionBy("of", "block").orderBy("key", "id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    cut = joined.where("not all_of_it").withColumn("extra", (F.sum("tokens").over(inside) <= F.col("left")).cast("int"))
     rest = joined.where("all_of_it is null or all_of_it").withColumn("extra", F.coalesce("all_of_it", F.lit(False)).cast("int"))
     both = rest.unionByName(cut).withColumn("copies", (F.col("whole") + F.col("extra")).cast("int")).where("copies > 0")
-    each = both.withColumn("mix_pass", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
-    return each.select(*docs.columns, "mix_pass", F.xxhash64(F.lit(seed), F.col("mix_pass").cast("long"), F.col("block")).alias("mix_block"), F.xxhash64("mix_pass", "mix_key").alias("mix_slot"))
+    each = both.withColumn("pass", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
+    own = [F.col(f"doc.`{c}`").alias(c) for c in docs.columns]
+    return each.select(*own, F.col("pass").alias("mix_pass"), F.xxhash64(F.lit(seed), F.col("pass").cast("long"), F.col("block")).alias("mix_block"), F.xxhash64("pass", "key").alias("mix_slot"))
 
 
 def mixture(docs: DataFrame, repetitions: float = 2.0) -> DataFrame:
-    """doc_id, source, n_tokens, mix_pass, mix_block, mix_slot for the whole table."""
-    slim = docs.select("doc_id", "source", tokens_of(F.col("text")).alias("n_tokens"))
+    """doc_id, source, n_tokens, mix_pass, mix_block, mix_slot for the whole table; an empty
+    one gives no row, a null source is a source of its own."""
+    slim = docs.select("doc_id", "source", tokens_of(F.col("text")).alias("n_tokens"), F.xxhash64("text").alias("content"))
     chosen = plan(source_tokens(slim, F.col("n_tokens")), repetitions)
-    return mixed(slim, chosen, tokens=F.col("n_tokens"))
+    return mixed(slim, chosen, tokens=F.col("n_tokens"), content=F.col("content")).drop("content")
 
 
 def mix_stage(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """Pipeline stage: every row at least once, rows of rare sources up to twice."""
     chosen = plan(source_tokens(docs, tokens_of(F.col("text"))))
-    return mixed(docs, chosen).select(docs.columns)
+    used = mixed(docs, chosen)
+    return used.select(docs.columns)
