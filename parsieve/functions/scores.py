@@ -13,6 +13,7 @@ from dataclasses import dataclass
 from functools import cache
 
 import numpy as np
+from pyspark import cloudpickle
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -112,6 +113,9 @@ class Custom(Score):
     def bounded(self) -> bool:
         return self.bound is not None
 
+    def __reduce__(self):
+        return _unpacked, (cloudpickle.dumps((self.fn, self.bound)),)  # functions of any kind travel to the tasks
+
     def penalty(self, q: float, r: int, m: float) -> float:
         return self.bound(q, r, m)
 
@@ -119,6 +123,10 @@ class Custom(Score):
         return self.fn(parent, joint, q, r)
 
 
+def _unpacked(data: bytes) -> Custom:
+    return Custom(*cloudpickle.loads(data))
+
+
 def entropy_bits(counts: np.ndarray) -> float:
     """Entropy of a table of counts, times its total."""
     c = counts[counts > 0].astype(float)

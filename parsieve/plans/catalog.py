@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from parsieve.functions.scores import Aic, Bdeu, Custom, Fnml, Mdl
+from parsieve.functions import sql
 from parsieve.functions.bitset import from_names, names
 from parsieve.operators import baselines, kernel, lookup, metrics, network, relational
 from parsieve.operators.search import find_parent_sets
@@ -136,6 +137,13 @@ def _lookup_sql(view: str) -> str:
     return oracle.scores_sql(view, cols) + f" select a.target || '|' || {label} as query_id, a.target, round(min(b.s), 3) as score from scored a join scored b on a.target = b.target and (a.ub & b.ub) = b.ub group by a.target, a.ub, {label}"
 
 
+def _functions_sql() -> str:
+    cols = COLUMNS["geo5"]
+    pool = sum(1 << (len(cols) - 1 - cols.index(c)) for c in ("a", "c"))
+    h = "(select round(log2(sum(x)) - sum(x*log2(x))/sum(x), 6) from (select count(*)::double as x from v group by b))"
+    return oracle.scores_sql("geo5", cols) + f" select target, round(min(s), 3) as score, true as inside, 'a+c' as names, {h} as entropy_b, 4::bigint as children from scored where (ub & {31 - pool}) = 0 group by target"
+
+
 def _summary(view: str) -> Query:
     return lambda spark, sf: lookup.summary(find_parent_sets(load(spark, sf, view)).mps)
 
@@ -386,6 +394,33 @@ def q_stream(which: str) -> Query:
     return run
 
 
+def stream_entropy(spark: SparkSession, sf: str) -> DataFrame:
+    """Entropy of the hour given the type of event, kept by a stateful operator."""
+    s = counts.events_stream(spark, sf).select("event_type", F.hour("ts").alias("h"))
+    out = counts.run_now(counts.running_entropy(s, "event_type", "h"), "update")
+    return out.select("event_type", "total", F.round("entropy", 6).alias("entropy"))
+
+
+def stream_segments(spark: SparkSession, sf: str) -> DataFrame:
+    """Events by market segment: a stream joined to a static table."""
+    static = table(spark, sf, "customer").select(F.col("c_custkey").alias("user_id"), F.col("c_mktsegment").alias("segment"))
+    return counts.run_now(counts.with_static(counts.events_stream(spark, sf), static, "user_id", ["event_type", "segment"]))
+
+
+def sql_functions(spark: SparkSession, sf: str) -> DataFrame:
+    """Each target's best score within a pool, its names and the entropy of its column, by SQL functions."""
+    sql.register(spark)
+    r = find_parent_sets(load(spark, sf, "geo5"))
+    r.mps.createOrReplaceTempView("ps_lists")
+    load(spark, sf, "geo5").createOrReplaceTempView("ps_rows")
+    return spark.sql("""
+      with lists as (select target, collect_list(struct(parents, score)) as l from ps_lists group by target),
+      h as (select ps_entropy(collect_list(n)) as h from (select b, count(*) as n from ps_rows group by b))
+      select target, round(ps_best_score(l, array('a', 'c')), 3) as score, ps_contains(array('a', 'b'), array('b')) as inside,
+        array_join(ps_names(5L, array('a', 'b', 'c')), '+') as names, round(h, 6) as entropy_b,
+        (select count(*) from ps_children(1L, 30L, 5)) as children from lists cross join h""")
+
+
 def stream_mps(spark: SparkSession, sf: str) -> DataFrame:
     """Parent sets from the counts that a stream keeps: equal to those of the rows."""
     s = counts.events_stream(spark, sf).select("event_type", F.floor(F.hour("ts") / 6).alias("quarter"), (F.col("user_id") % 5).alias("part"))
@@ -436,6 +471,7 @@ def queries() -> dict[str, Query]:
         "cube_counts_geo5": q_cube, "rollup_chain_ord4": q_rollup, "left_labels": q_left_labels, "anti_unlabelled": q_unlabelled, "range_bins": q_range_bins,
         "win_transitions": q_running, "pivot_flags": q_pivot, "setops_nations": q_sets, "win_turns": q_turns, "udaf_entropy": udaf_entropy,
         "stream_contingency": q_stream("contingency"), "stream_tumbling": q_stream("tumbling"), "stream_sliding": q_stream("sliding"), "stream_sessions": q_stream("sessions"), "stream_dedup": q_stream("dedup"), "stream_mps": stream_mps,
+        "stream_entropy": stream_entropy, "stream_segments": stream_segments, "sql_functions_geo5": sql_functions,
     }
     out |= {f"work_{v}": _work(v) for v in COLUMNS}
     return out | surround.QUERIES
@@ -459,6 +495,9 @@ def oracle_sql() -> dict[str, str]:
     spans = " union all ".join(f"select {day.format(back)}, event_type from events" for back in ("", " - interval 1 day"))
     out |= {
         "mps_geo5_aic": oracle.mps_sql("geo5", COLUMNS["geo5"], score="aic"), "mps_ord4_bdeu": oracle.mps_sql("ord4", COLUMNS["ord4"], score="bdeu"),
+        "stream_entropy": "with c as (select event_type, hour(ts) as h, count(*)::double as c from events group by all) select event_type, sum(c)::bigint as total, round(log2(sum(c)) - sum(c*log2(c))/sum(c), 6) as entropy from c group by event_type",
+        "stream_segments": "select event_type, c_mktsegment as segment, count(*) as w from events join customer on user_id = c_custkey group by all",
+        "sql_functions_geo5": _functions_sql(),
         "stream_mps": oracle.mps_sql("evt3", EVT3), "front_plant12": _front_sql("plant12"), "optimal_plant12": _optimal_sql(),
         "stream_tumbling": f"select {day.format('')}, event_type, count(*) as c from events group by all", "stream_sliding": f"select begins, event_type, count(*) as c from ({spans}) group by all",
         "stream_sessions": """with e as (select user_id, ts::timestamp as ts, case when ts::timestamp - lag(ts::timestamp) over w < interval 6 hours then 0 else 1 end as fresh from events window w as (partition by user_id order by ts)),

@@ -38,12 +38,12 @@ def contingency(stream: DataFrame, columns: list[str]) -> DataFrame:
     return stream.groupBy(*columns).agg(F.count(F.lit(1)).alias("w"))
 
 
-def tumbling(stream: DataFrame, span: str = "1 day") -> DataFrame:
-    return stream.groupBy(F.window("ts", span).alias("win"), "event_type").agg(F.count(F.lit(1)).alias("c")).select(F.col("win.start").alias("begins"), "event_type", "c")
+def tumbling(stream: DataFrame, span: str = "1 day", late: str = "1 day") -> DataFrame:
+    return stream.withWatermark("ts", late).groupBy(F.window("ts", span).alias("win"), "event_type").agg(F.count(F.lit(1)).alias("c")).select(F.col("win.start").alias("begins"), "event_type", "c")
 
 
-def sliding(stream: DataFrame, span: str = "2 days", step: str = "1 day") -> DataFrame:
-    return stream.groupBy(F.window("ts", span, step).alias("win"), "event_type").agg(F.count(F.lit(1)).alias("c")).select(F.col("win.start").alias("begins"), "event_type", "c")
+def sliding(stream: DataFrame, span: str = "2 days", step: str = "1 day", late: str = "1 day") -> DataFrame:
+    return stream.withWatermark("ts", late).groupBy(F.window("ts", span, step).alias("win"), "event_type").agg(F.count(F.lit(1)).alias("c")).select(F.col("win.start").alias("begins"), "event_type", "c")
 
 
 def sessions(stream: DataFrame, gap: str = "6 hours", late: str = "1 day") -> DataFrame:
@@ -54,3 +54,27 @@ def sessions(stream: DataFrame, gap: str = "6 hours", late: str = "1 day") -> Da
 def once(stream: DataFrame, late: str = "3650 days") -> DataFrame:
     """Each event_id once within the watermark."""
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def running_entropy(stream: DataFrame, group: str, state: str) -> DataFrame:
+    """group, total, entropy (bits) of the states seen so far: a custom stateful operator
+    that keeps one number for each state of a group and a row for each update."""
+    import numpy as np
+    import pandas as pd
+
+    def update(key, batches, held):
+        seen = dict(zip(*held.get, strict=True)) if held.exists else {}
+        for b in batches:
+            for s, n in b[state].value_counts().items():
+                seen[str(s)] = seen.get(str(s), 0) + int(n)
+        held.update((list(seen), list(seen.values())))
+        c = np.array(list(seen.values()), float)
+        yield pd.DataFrame({group: [key[0]], "total": [int(c.sum())], "entropy": [float(np.log2(c.sum()) - (c * np.log2(c)).sum() / c.sum())]})
+
+    slim = stream.select(group, F.col(state).cast("string").alias(state))
+    return slim.groupBy(group).applyInPandasWithState(update, f"{group} string, total long, entropy double", "states array<string>, counts array<long>", "update", "NoTimeout")
+
+
+def with_static(stream: DataFrame, static: DataFrame, key: str, columns: list[str]) -> DataFrame:
+    """Counts by columns of a static table that each event is joined to."""
+    return contingency(stream.join(static, key), columns)
