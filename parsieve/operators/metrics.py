@@ -37,6 +37,12 @@ def fold_bounds(spark: SparkSession, n: int) -> DataFrame:
     return spark.createDataFrame(rows, "layer int, unfolded_rows long, folded_rows long, ratio double")
 
 
+def shared_gain(scored: int, nodes: int) -> float:
+    """How many times fewer countings there are if the targets of a node share that of the
+    node's set: one and one a target, in place of two a target."""
+    return 2 * scored / (scored + nodes) if scored + nodes else 1.0
+
+
 def layer_bytes(result: SearchResult) -> list[int]:
     return [x["nodes"] * NODE_BYTES for x in result.layers]
 
@@ -46,6 +52,8 @@ def report(result: SearchResult, synchronised: int | None = None) -> dict:
     n = len(result.order)
     full = unpruned_nodes(n, t["l_max"])
     out = dict(t) | {"unpruned": full, "share_percent": 100 * t["nodes"] / full if full else 0.0, "nodes_per_second": t["nodes"] / max(t["seconds"], 1e-9)}
+    out["shared_gain"] = shared_gain(sum(x["scored"] for x in result.layers), t["nodes"])
+    out["peak_bytes"] = max(layer_bytes(result), default=0)
     lists: dict[int, int] = {}
     for k, *_ in result.entries:
         lists[k] = lists.get(k, 0) + 1

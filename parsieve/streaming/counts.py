@@ -21,7 +21,7 @@ def run_now(df: DataFrame, mode: str = "complete") -> DataFrame:
     root = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
 
     def put(batch: DataFrame, number: int) -> None:
-        if mode == "append":
+        if mode in ("append", "update"):
             batch.write.mode("overwrite").parquet(f"{root}/out/batch={number}")
         else:
             batch.write.mode("overwrite").parquet(f"{root}/out")
@@ -29,7 +29,10 @@ def run_now(df: DataFrame, mode: str = "complete") -> DataFrame:
     schema = df.schema
     query = df.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    out = spark.read.schema(schema).parquet(f"{root}/out")
+    out = spark.read.parquet(f"{root}/out") if mode == "update" else spark.read.schema(schema).parquet(f"{root}/out")
+    if mode == "update":  # the latest row of each value of the first column
+        latest = out.groupBy(schema.names[0]).agg(F.max_by(F.struct(*schema.names), "batch").alias("r"))
+        return latest.select("r.*")
     return out.select(*schema.names)
 
 
