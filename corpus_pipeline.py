@@ -29,5 +29,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     cuts = Cuts(spark)
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = cuts.cut(stage(spark, docs, sf_dir), name)
+        kept = cuts.cut(stage(spark, docs, sf_dir), name)
+        cuts.drop(docs)  # what the stage before wrote
+        docs = kept
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 MOST_STATES = 4096
@@ -25,6 +27,7 @@ class Encoded:
     m: int
     entropy: list[float]
     floor: list[float]
+    local: pa.Table | None = field(default=None, repr=False)  # the rows, where the driver has them
 
     @property
     def n(self) -> int:
@@ -32,11 +35,11 @@ class Encoded:
 
     def packed(self, most_bytes: int = 512 << 20) -> tuple[np.ndarray, np.ndarray]:
         """Codes (column by column) and weights for broadcasting; size checked first."""
-        distinct = self.rows.count()
+        distinct = self.local.num_rows if self.local is not None else self.rows.count()
         width = 1 if max(self.arity, default=1) <= 256 else 2
         if distinct * (self.n * width + 8) > most_bytes:
             raise MemoryError("the compressed table is too large to broadcast: use backend='relational'")
-        t = self.rows.select(*self.order, "w").toArrow()
+        t = self.local if self.local is not None else self.rows.select(*(f"`{c}`" for c in self.order), "w").toArrow()
         kind = np.uint8 if width == 1 else np.uint16
         return np.stack([t.column(c).to_numpy().astype(kind) for c in self.order]) if self.n else np.zeros((0, distinct), kind), t.column("w").to_numpy().astype(np.int64)
 
@@ -63,6 +66,11 @@ def encode(df: DataFrame, variables: list[str] | None = None, null_policy: str =
         df = df.dropna(subset=variables)
     sums = df.groupBy(*variables).agg(number.alias("w__")).persist()
     try:
+        if variables:
+            # A table of few different rows, as most are, is coded by the driver after one job.
+            few = sums.limit(LOCAL_ROWS + 1).toArrow()
+            if few.num_rows <= LOCAL_ROWS and not any(pa.types.is_nested(f.type) for f in few.schema):
+                return _encode_few(df.sparkSession, few, variables, null_policy, order)
         return _encode(sums, variables, null_policy, order)
     finally:
         sums.unpersist()
@@ -99,9 +107,41 @@ def count_log(counts: np.ndarray) -> float:
     return float((n * c * np.log2(c)).sum())
 
 
+def _encode_few(spark: SparkSession, table: pa.Table, variables: list[str], null_policy: str, order: str) -> Encoded:
+    labels, codes = {}, {}
+    for c in variables:
+        column = table.column(c).combine_chunks()
+        known = pc.unique(column.drop_null())
+        known = known.take(pc.sort_indices(known))
+        nulls = column.null_count > 0
+        if nulls and null_policy == "error":
+            raise ValueError(f"column {c} has nulls")
+        if len(known) + nulls > MOST_STATES:
+            raise ValueError(f"column {c} has more than {MOST_STATES} states: bin it first")
+        labels[c] = [None] * nulls + known.to_pylist()
+        place = pc.index_in(column, value_set=known) if len(known) else pa.nulls(len(column), pa.int32())
+        codes[c] = pc.fill_null(pc.add(place, int(nulls)), 0).cast(pa.int32())
+    coded = pa.table(codes | {"w": table.column("w__").cast(pa.int64())})
+    arity = {c: max(1, len(labels[c])) for c in variables}
+    m = pc.sum(coded.column("w")).as_py() or 0
+    bits, floor = _local_facts(coded, variables, arity)
+    rows = spark.createDataFrame(coded) if coded.num_rows else spark.createDataFrame([], ", ".join(f"`{c}` int" for c in variables) + ", w long")
+    out = _ordered(rows, variables, order, arity, labels, m, bits, floor)
+    out.local = coded
+    return out
+
+
+def _ordered(rows: DataFrame, variables: list[str], order: str, arity: dict, labels: dict, m: int, bits: dict, floor: dict) -> Encoded:
+    place = {c: i for i, c in enumerate(variables)}
+    size = {c: round(floor[c] / max(m, 1), 6) for c in variables}
+    rank = {"arity": lambda c: (-arity[c], size[c], c), "reverse": lambda c: (arity[c], -size[c], c), "input": place.__getitem__}[order]
+    names = sorted(variables, key=rank)
+    return Encoded(rows.select(*(f"`{c}`" for c in names), "w"), names, [arity[c] for c in names], labels, m, [float(bits[c]) for c in names], [float(floor[c]) for c in names])
+
+
 def _encode(sums: DataFrame, variables: list[str], null_policy: str, order: str) -> Encoded:
     # Numbers of states first: a column with too many is refused before any list of them is made.
-    facts = [F.sum("w__").alias("m"), F.count(F.lit(1)).alias("rows")]
+    facts = [F.sum("w__").alias("m")]
     facts += [f for i, c in enumerate(variables) for f in (F.approx_count_distinct(c, 0.02).alias(f"d_{i}"), F.max(F.col(c).isNull()).alias(f"n_{i}"))]
     first = sums.agg(*facts).first()
     m = first["m"] or 0
@@ -122,13 +162,6 @@ def _encode(sums: DataFrame, variables: list[str], null_policy: str, order: str)
         codes.append(F.coalesce(place, F.lit(0)).cast("int").alias(c))
     rows = sums.select(*codes, F.col("w__").alias("w"))
     arity = {c: max(1, len(labels[c])) for c in variables}
-    if (first["rows"] or 0) <= LOCAL_ROWS:
-        arrow = rows.toArrow()
-        rows = rows.sparkSession.createDataFrame(arrow) if arrow.num_rows else rows
-        bits, floor = _local_facts(arrow, variables, arity)
-    else:
-        rows = rows.persist()
-        bits, floor = _spark_facts(rows, variables, m)
-    rank = {"arity": lambda c: (-arity[c], round(floor[c] / max(m, 1), 6), c), "reverse": lambda c: (arity[c], -round(floor[c] / max(m, 1), 6), c), "input": variables.index}[order]
-    names = sorted(variables, key=rank)
-    return Encoded(rows.select(*names, "w"), names, [arity[c] for c in names], labels, m, [float(bits[c]) for c in names], [float(floor[c]) for c in names])
+    rows = rows.persist()
+    bits, floor = _spark_facts(rows, variables, m)
+    return _ordered(rows, variables, order, arity, labels, m, bits, floor)
