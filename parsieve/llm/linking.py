@@ -4,8 +4,7 @@ Items share buckets; two items of a bucket are a candidate pair; a pair is linke
 Jaccard similarity of their full element sets reaches a threshold; the result is the
 components of the links. Pairs inside one component need no look, so not all of a bucket
 is paired up: each bucket's smallest item (its hub) is compared with the others, and the
-links found give components. Items whose buckets still hold several components
-then meet by prefixes: with all elements in one order, rarest first, a pair can only be
+links found give components. In TURNS further turns the next smallest is the hub. Items whose buckets still hold several components then meet by prefixes: with all elements in one order, rarest first, a pair can only be
 linked if it shares one of the first few of either set, and the places of the first
 shared one bound the intersection. What is left out can change no component: all linked
 candidate pairs count, and so do linked pairs that meet by prefixes without a bucket.
@@ -71,10 +70,25 @@ def _enough(common: Column, percent: int) -> Column:
     return 100 * common >= percent * (F.col("na") + F.col("nb") - common)
 
 
+#: Further turns of hubs. They only move work between turns and prefixes: what they leave
+#: meets by prefixes in full.
+TURNS = 2
+#: Longs of a bitmap of 64 bits each. More end more far pairs of large sets.
+PARITY = 4
+#: Elements of a prefix that go with the next one.
+WINDOW = 8
+
+
+def _differing(x: str, y: str) -> Column:
+    """The number of different bits of two bitmaps, which are arrays of PARITY longs."""
+    return sum(F.bit_count(F.col(x)[w].bitwiseXOR(F.col(y)[w])) for w in range(PARITY))
+
+
 def _across(each: DataFrame) -> DataFrame:
-    """(e, c): elements of several components with the number of their items."""
-    found = each.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("component").alias("low"), F.max("component").alias("high"))
-    return found.where("low < high").select("e", "c")
+    """(e, c, who): elements of several components, the number of their items, and a hash of
+    the set of their items."""
+    found = each.groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.bit_xor(F.xxhash64("id")).alias("who"), F.min("component").alias("low"), F.max("component").alias("high"))
+    return found.where("low < high").select("e", "c", "who")
 
 
 def _prefix_pairs(cuts: Cuts, items: Items, rows: DataFrame, percent: int) -> DataFrame:
@@ -85,24 +99,64 @@ def _prefix_pairs(cuts: Cuts, items: Items, rows: DataFrame, percent: int) -> Da
     they come first. A set of n elements shares at least ceil(percent * n / 100) with a
     partner, so one of its first n + 1 less that many is shared. From the first shared
     one on, the intersection is no larger than what follows in either set.
+
+    Each item also has a bitmap: bit k tells whether an odd number of its elements falls on
+    k. Sets differ in at least as many elements as their bitmaps do in bits, so far pairs end
+    in the join itself, and none that is linked does.
+
+    Elements of the same items, as the shingles of a shared passage are, stand together in
+    the order. All that such items can meet by is the first of them, so the others go. Nor
+    does a pair meet by an element if both prefixes have one element among the WINDOW before
+    it: it has met by that one. (32-bit hashes stand for those; for one pair in 10^7 or fewer
+    they are equal by chance where the pair first meets.)
     """
     across = cuts.cut(_across(items.elements(rows)), "across")
     met = items.elements(rows).join(across.hint("merge"), "e", "left").groupBy("id")
-    useful = met.agg(F.first("component").alias("component"), F.count(F.lit(1)).alias("n"), F.sort_array(F.collect_list(F.when(F.col("c").isNotNull(), F.struct("c", "e")))).alias("useful"))
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned("e", 8).bitwiseAND(F.lit(63)).cast("int"))
+    parity = F.array(*(F.coalesce(F.bit_xor(F.when(F.col("e").bitwiseAND(F.lit(PARITY - 1)) == w, bit)), F.lit(0).cast("long")) for w in range(PARITY)))
+    useful = met.agg(parity.alias("parity"), F.first("component").alias("component"), F.count(F.lit(1)).alias("n"), F.sort_array(F.collect_list(F.when(F.col("c").isNotNull(), F.struct("c", "who", "e")))).alias("useful"))
     n, size = F.col("n"), F.size("useful")
     length = n + 1 - F.ceil(n * percent / 100) - (n - size)
     prefix = F.slice("useful", F.lit(1), F.greatest(length, F.lit(0)).cast("int"))
-    cut = cuts.cut(useful.select("id", "component", "n", size.alias("size"), prefix.alias("prefix")), "prefixes")
-    each = cut.select("id", "component", "n", "size", F.posexplode("prefix").alias("i", "x"))
-    each = each.select("id", "component", "n", F.col("x.e").alias("e"), (F.col("size") - F.col("i")).alias("after"))
-    x = each.select("e", F.col("id").alias("a"), F.col("component").alias("ca"), F.col("n").alias("na"), F.col("after").alias("fa"))
-    y = each.select("e", F.col("id").alias("b"), F.col("component").alias("cb"), F.col("n").alias("nb"), F.col("after").alias("fb"))
-    pairs = x.join(y.hint("merge"), "e").where((F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & _enough(F.least("fa", "fb"), percent))
+    placed = useful.select("id", "component", "n", "parity", size.alias("size"), prefix.alias("prefix"))
+    before = lambda i: F.get("prefix", i - 1)
+    numbered = F.transform("prefix", lambda x, i: F.struct(x["e"].alias("e"), (F.col("size") - i).alias("after"), ((i > 0) & (before(i)["c"] == x["c"]) & (before(i)["who"] == x["who"])).alias("again")))
+    first = F.filter(numbered, lambda x: ~F.coalesce(x["again"], F.lit(False)))
+    met_by = F.transform(first, lambda x: F.struct(x["e"].alias("e"), x["after"].alias("after")))
+    cut = cuts.cut(placed.select("id", "component", "n", "parity", met_by.alias("met_by")), "prefixes")
+    marked = cut.select("*", F.transform("met_by", lambda x: F.hash(x["e"])).alias("marks"))
+    each = marked.select("id", "component", "n", "parity", "marks", F.posexplode("met_by").alias("i", "x"))
+    earlier = F.slice("marks", F.greatest(F.col("i") - (WINDOW - 1), F.lit(1)), F.least("i", F.lit(WINDOW)))
+    each = each.select("id", "component", "n", "parity", "x.e", "x.after", earlier.alias("earlier"))
+    side = lambda id, x: [F.col("id").alias(id), *(F.col(c).alias(f"{c}_{x}") for c in ("component", "after", "parity", "earlier")), F.col("n").alias(f"n{x}")]
+    x, y = each.select("e", *side("a", "a")), each.select("e", *side("b", "b"))
+    near = _enough(F.least("after_a", "after_b"), percent) & _enough(F.floor((F.col("na") + F.col("nb") - _differing("parity_a", "parity_b")) / 2), percent)
+    pairs = x.join(y.hint("merge"), "e").where((F.col("component_a") != F.col("component_b")) & (F.col("a") < F.col("b")) & near & ~F.arrays_overlap("earlier_a", "earlier_b"))
     pairs = cuts.cut(pairs.select("a", "b").distinct(), "pairs")
     cuts.drop(cut, across)
     return pairs
 
 
+def _left(cuts: Cuts, members: DataFrame, found: DataFrame) -> DataFrame:
+    """(bucket, id, component, hub struct<id, component>) for members(bucket, id) of buckets
+    that hold several components; the hub is the smallest item."""
+    placed = members.join(found.hint("merge"), "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
+    placed = cuts.cut(placed, "placed")
+    mixed = placed.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min(F.struct("id", "component")).alias("hub")).where("low < high")
+    mixed = cuts.cut(mixed.select("bucket", "hub"), "mixed")
+    left = cuts.cut(placed.join(mixed.hint("merge"), "bucket"), "left")
+    cuts.drop(placed, mixed)
+    return left
+
+
+def _merged(cuts: Cuts, found: DataFrame, more: DataFrame) -> DataFrame:
+    """The components of found(id, component) and the links more(a, b)."""
+    if more.isEmpty():
+        return found
+    merged = components(cuts, found.select(F.col("id").alias("a"), F.col("component").alias("b")).union(more))
+    return cuts.cut(merged, "found")
+
+
 def link(cuts: Cuts, keys: DataFrame, items: Items, percent: int) -> DataFrame:
     """(id, component) of every item with a link, from keys(id, bucket), a view of a
     written table."""
@@ -117,20 +171,24 @@ def link(cuts: Cuts, keys: DataFrame, items: Items, percent: int) -> DataFrame:
     cuts.drop(ids)
     spokes = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
     star = cuts.cut(items.linked(cuts, spokes, content, percent), "star")
-    first = cuts.cut(components(cuts, star), "first")
+    found = cuts.cut(components(cuts, star), "found")
     cuts.drop(star)
-    # What is left: buckets that still hold several components. The hub itself has met
-    # everyone; with no more than one other component nothing is left.
-    placed = members.where("id <> hub").join(first.hint("merge"), "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
-    placed = cuts.cut(placed, "placed")
-    mixed = placed.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
-    mixed = cuts.cut(mixed.select("bucket"), "mixed")
-    rest = placed.join(mixed.hint("merge"), "bucket").select("id", "component").distinct()
-    rest = cuts.cut(rest.join(content.hint("merge"), "id"), "rest")
-    cuts.drop(members, placed, mixed, content)
+    # The hub itself has met everyone. What is left: buckets that still hold several components.
+    left = _left(cuts, members.where("id <> hub").select("bucket", "id"), found)
+    cuts.drop(members)
+    for _ in range(TURNS):
+        if left.isEmpty():
+            return found
+        # The smallest item left in each is its hub now.
+        spokes = left.where("component <> hub.component").select(F.col("id").alias("a"), F.col("hub.id").alias("b")).distinct()
+        more = cuts.cut(items.linked(cuts, spokes, content, percent), "more")
+        found = _merged(cuts, found, more)
+        met = left
+        left = _left(cuts, met.where("id <> hub.id").select("bucket", "id"), found)
+        cuts.drop(met, more)
+    rest = cuts.cut(left.select("id", "component").distinct().join(content.hint("merge"), "id"), "rest")
+    cuts.drop(left, content)
     pairs = _prefix_pairs(cuts, items, rest, percent)
     more = cuts.cut(items.linked(cuts, pairs, rest.drop("component"), percent), "more")
     cuts.drop(rest, pairs)
-    if more.isEmpty():
-        return first
-    return components(cuts, first.select(F.col("id").alias("a"), F.col("component").alias("b")).union(more))
+    return _merged(cuts, found, more)
