@@ -163,6 +163,7 @@ def with_links(spark: SparkSession, prints: DataFrame, radius: int = 3) -> DataF
     prints = cuts.cut(prints.withColumn("fp", F.conv("fingerprint", 16, -10).cast("long")), "prints")
     links = cuts.cut(near_fingerprints(prints, radius, cuts=cuts), "links")
     counted = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("near_links"))
-    linked = cuts.cut(counted.join(components(cuts, links), "id"), "linked")
+    reached = components(cuts, links, one_task=0)  # by rounds of joins at any size, so that no Python runs on the executors
+    linked = cuts.cut(counted.join(reached, "id"), "linked")
     out = prints.join(linked, F.col("fp") == F.col("id"), "left")
     return out.withColumns({"near_links": F.coalesce("near_links", F.lit(0)), "near_class": hexed(F.coalesce("component", "fp"))}).drop("fp", "id", "component")
