@@ -16,9 +16,9 @@ def test_far_copies_of_one_text_are_not_paired(spark, monkeypatch):
     texts[150] = [*texts[90][:50], "one", *texts[90][51:]]
     met, linked = [], minhash._Documents.linked
 
-    def counted(self, cuts, pairs, content, percent):
+    def counted(self, cuts, pairs, *rest):
         met.append(pairs.count())
-        return linked(self, cuts, pairs, content, percent)
+        return linked(self, cuts, pairs, *rest)
 
     monkeypatch.setattr(minhash._Documents, "linked", counted)
     docs = spark.createDataFrame([(d, " ".join(t)) for d, t in texts.items()], "doc_id long, text string")
