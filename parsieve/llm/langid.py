@@ -22,6 +22,7 @@ from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,6 +31,7 @@ from parsieve.llm.common import slices
 ORDER = 3
 UNKNOWN = "und"
 MOST_BYTES = 1 << 30  # of the table of code lengths
+STATES = 1 << 10  # whose code lengths are worked out at once; each takes some ten rows of doubles on the driver
 
 
 class Trees(NamedTuple):
@@ -149,8 +151,10 @@ def fit(counts: dict[str, tuple[np.ndarray, np.ndarray]]) -> Trees:
             np.add.at(t, (np.searchsorted(known[d], pack(c[ORDER - d : ORDER])) if d else np.zeros(len(n), int), c[ORDER]), n)
             table.append(t)
         for d in range(ORDER + 1):
-            shorter = [table[e][np.searchsorted(known[e], known[d] % k**e) if e else np.zeros(len(known[d]), int)] for e in range(d - 1, -1, -1)]
-            bits[first[d] : first[d + 1], :, column] = _distribution(table[d], shorter)
+            for at in range(0, len(known[d]), STATES):
+                part = known[d][at : at + STATES]
+                shorter = [table[e][np.searchsorted(known[e], part % k**e) if e else np.zeros(len(part), int)] for e in range(d - 1, -1, -1)]
+                bits[first[d] + at : first[d] + at + len(part), :, column] = _distribution(table[d][at : at + STATES], shorter)
     bits[:, 0] += math.log2(max(1, unseen))
     return Trees(languages, classes[:256].astype(np.uint8), k, state_of, bits.reshape(-1, len(languages)))
 
@@ -203,9 +207,10 @@ def train(docs: DataFrame, rows_per_language: int = 1500, languages: int = 2000)
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(w), pa.string()), pa.array(w.view(np.int64)), pa.array(n, pa.int64())], names=["lang", "w", "n"])
 
     total = chosen.select("lang", "text").mapInArrow(count, "lang string, w long, n long").groupBy("lang", "w").agg(F.sum("n").alias("n")).toArrow()
-    lang = np.array(total.column("lang").to_pylist(), object)
+    lang = pa.compute.dictionary_encode(total.column("lang")).combine_chunks()
+    code, names = lang.indices.to_numpy(), lang.dictionary.to_pylist()
     w, n = total.column("w").to_numpy().view(np.uint64), total.column("n").to_numpy()
-    return fit({name: (w[lang == name], n[lang == name]) for name in sorted(set(lang))})
+    return fit({name: (w[code == i], n[code == i]) for i, name in enumerate(names)})
 
 
 def identify(docs: DataFrame, trees: Trees) -> DataFrame:
