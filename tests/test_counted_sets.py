@@ -59,3 +59,46 @@ def test_facts_of_a_larger_table_from_its_codes(table, monkeypatch):
     monkeypatch.setattr(module, "_spark_facts", None)
     assert many.local is not None and encode(table).floor == pytest.approx(few.floor)
     assert (many.order, many.arity, many.m) == (few.order, few.arity, few.m) and many.entropy == pytest.approx(few.entropy)
+
+
+def test_many_sets_from_one_count_of_the_rows(table, monkeypatch):
+    p = kernel.problem(encode(table), Mdl())
+    sets = [u for u in range(1, 1 << p.n) if u.bit_count() == 3]
+    tallied = []
+    plain = kernel.Cells._tally
+    monkeypatch.setattr(kernel.Cells, "_tally", lambda self, key, *a: tallied.append(len(key) == p.codes.shape[1]) or plain(self, key, *a))
+    groups = kernel.neighbours(p, sets)
+    cells = kernel.Cells(p)
+    got = dict(x for g in groups for x in kernel.log_sums(cells, g))
+    assert sorted(got) == sorted(sets) and sum(tallied) <= len(sets) // 4  # before: a count for nearly each set
+
+
+@pytest.mark.parametrize("weight", [1, 3])
+def test_sparse_sets_are_counted_by_sorting(table, monkeypatch, weight):
+    monkeypatch.setattr(kernel, "SPARSE", 0)
+    p = kernel.problem(encode(table), Mdl())
+    p.weights = np.full(p.codes.shape[1], 1, np.int64) if weight == 1 else np.arange(p.codes.shape[1], dtype=np.int64) % 7 + 1
+    u = (1 << p.n) - 1
+    monkeypatch.setattr(kernel, "TABLED", 3)
+    kernel._log_table.cache_clear()
+    c = p.weights[p.weights > 0].astype(float)
+    assert kernel.Cells(p).log_sum(u) == pytest.approx((c * np.log2(c)).sum())
+    kernel._log_table.cache_clear()
+
+
+def test_a_larger_table_is_coded_by_tasks(spark, monkeypatch):
+    from parsieve.plans import encode as module
+
+    rows = [(i % 5 if i % 7 else None, f"k{i % 3}", i % 2 == 0, -0.0 if i % 4 else 0.5) for i in range(400)]
+    df = spark.createDataFrame(rows, "a int, b string, c boolean, d double")
+    few = encode(df)
+    monkeypatch.setattr(module, "LOCAL_ROWS", 10)
+    monkeypatch.setattr(module, "_listed_states", None)  # before: sketches of the numbers of states
+    many = encode(df)
+    assert (many.order, many.arity, many.labels, many.m) == (few.order, few.arity, few.labels, few.m)
+    assert sorted(map(tuple, many.rows.collect())) == sorted(map(tuple, few.rows.collect()))
+    monkeypatch.setattr(module, "MOST_STATES", 4)
+    with pytest.raises(ValueError, match="more than 4 states"):
+        encode(df)
+    with pytest.raises(ValueError, match="nulls"):
+        encode(df, null_policy="error")
