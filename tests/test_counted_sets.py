@@ -1,5 +1,6 @@
 """Layers whose sets are counted once for all targets, against nodes scored one by one."""
 
+import math
 import random
 
 import numpy as np
@@ -102,3 +103,14 @@ def test_a_larger_table_is_coded_by_tasks(spark, monkeypatch):
         encode(df)
     with pytest.raises(ValueError, match="nulls"):
         encode(df, null_policy="error")
+
+
+def test_groups_of_a_wide_table_are_found_soon(monkeypatch):
+    p = kernel.Problem(np.zeros((40, 1 << 19), np.uint8), np.ones(1 << 19, np.int64), [2] * 40, 1 << 19, [], [], Mdl(), frozenset(), [])
+    rng = random.Random(3)
+    sets = {sum(1 << i for i in rng.sample(range(40), 10)) for _ in range(100)}
+    asked = []
+    plain = kernel._inside
+    monkeypatch.setattr(kernel, "_inside", lambda union, new, fewer, left: asked.append(math.comb(union.bit_count(), fewer)) or plain(union, new, fewer, left))
+    groups = kernel.neighbours(p, sets)
+    assert sorted(u for g in groups for u in g) == sorted(sets) and max(asked) <= 512
